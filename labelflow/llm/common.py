@@ -48,3 +48,14 @@ def text_of(name: str) -> Column:
 
 def id_of(name: str) -> Column:
     return F.col(f"`{name}`").cast("long")
+
+
+def without_ids(docs: DataFrame, ids: DataFrame, id_col: str, *, broadcast_rows: int = 1_000_000) -> DataFrame:
+    """``docs`` but for rows whose id (null included) is in the one column of ``ids``, with all their columns.
+
+    The ids are written first; they are sent to all executors if they are at most ``broadcast_rows``, else both
+    sides are dealt by id.
+    """
+    found = materialise(ids.select(F.col(ids.columns[0]).alias("__id")).distinct(), "ids")
+    side = F.broadcast(found) if found.count() <= broadcast_rows else found
+    return docs.join(side, F.col(f"`{id_col}`").eqNullSafe(F.col("__id")), "left_anti")

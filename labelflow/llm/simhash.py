@@ -21,7 +21,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .bktree import Forest, Union
-from .common import id_of, materialise, text_of
+from .common import id_of, materialise, text_of, without_ids
 from .components import connected_components
 
 SHINGLE_SEED = 42
@@ -122,6 +122,5 @@ def simhash_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str
 
 def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The rows of ``docs`` that are the smallest of their near-duplicate component, with all their columns."""
-    first = simhash_components(docs, id_col=id_col, text_col=text_col, **options).filter(F.col("doc_id").eqNullSafe(F.col("component_id")))
-    first = materialise(first.select(F.col("doc_id").alias("__kept_id")).distinct(), "simhash-kept")
-    return docs.join(first, docs[id_col].eqNullSafe(first["__kept_id"]), "left_semi")
+    found = simhash_components(docs, id_col=id_col, text_col=text_col, **options)
+    return without_ids(docs, found.filter(~F.col("doc_id").eqNullSafe(F.col("component_id"))).select("doc_id"), id_col)

@@ -44,8 +44,11 @@ def parts_of(texts: list[bytes], size: int = SLICE) -> Iterator[list[Part]]:
         yield group
 
 
-def word_keys(texts: list[bytes], parts: list[Part], blank: np.ndarray = SPACE) -> tuple[np.ndarray, np.ndarray]:
-    """A key for each word of these parts (A-Z lower-cased), and the number of words of each part."""
+def word_keys(texts: list[bytes], parts: list[Part], blank: np.ndarray = SPACE, prefix: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """A key for each word of these parts (A-Z lower-cased), and the number of words of each part.
+
+    With ``prefix``, the key is that of the word's first bytes, and differs from the key of any whole word.
+    """
     data = LOWER[np.frombuffer(b" ".join(texts[i][a:b] for i, a, b in parts) + b" ", np.uint8)]
     gap = blank[data]
     start = np.flatnonzero(~gap & np.append(True, gap[:-1]))
@@ -59,6 +62,9 @@ def word_keys(texts: list[bytes], parts: list[Part], blank: np.ndarray = SPACE)
     powers = np.cumprod(np.full(int(length.max()) + 1, _B, np.uint64))
     term = _VALUE[data] * powers[np.minimum(inside, len(powers) - 1)]
     term[gap] = 0
+    if prefix:
+        term[inside >= prefix] = 0
+        length = np.minimum(length, prefix) + (prefix << 32)
     return mix(np.add.reduceat(term, start) + length.astype(np.uint64) * _A), counts
 
 
