@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 from .common import id_of, text_of, without_ids
-from .words import NOT_ALNUM, KeyTable, mix, parts_of, word_keys
+from .words import NOT_ALNUM, KeyTable, gram_keys, keys_by_text, mix
 
 #: Most words of benchmark items that are sent to workers at once; larger sets go in several blocks of items.
 BLOCK_WORDS = 2_000_000
@@ -41,13 +41,7 @@ def run_length(n: int, edits: int, most: int = 3) -> int:
 
 def text_words(texts: list[str]) -> list[np.ndarray]:
     """Word keys of each text: runs of letters and digits, lower-cased."""
-    raw = [t.lower().encode("utf-8", "surrogatepass") for t in texts]
-    out: list[list[np.ndarray]] = [[] for _ in texts]
-    for parts in parts_of(raw):
-        keys, counts = word_keys(raw, parts, NOT_ALNUM)
-        for (i, _, _), piece in zip(parts, np.split(keys, np.cumsum(counts)[:-1])):
-            out[i].append(piece)
-    return [np.concatenate(x) if len(x) != 1 else x[0] for x in out]
+    return keys_by_text([t.lower().encode("utf-8", "surrogatepass") for t in texts], NOT_ALNUM)
 
 
 def cgk(words: np.ndarray, starts: np.ndarray, lengths: np.ndarray, walk: int) -> np.ndarray:
@@ -252,15 +246,6 @@ class Benchmark:
                     best[d, i] = min(best.get((d, i), (1 << 30,)), (cost, low + a, low + b))
 
 
-def gram_keys(words: np.ndarray, q: int) -> np.ndarray:
-    """A key for each run of q words."""
-    n = len(words) - q + 1
-    key = mix(words[:n] + np.uint64(q))
-    for j in range(1, q):
-        key = mix(key * np.uint64(3) ^ words[j : j + n])
-    return key
-
-
 def _filter(keys: np.ndarray) -> np.ndarray:
     """One bit for each value of the upper 20 bits."""
     out = np.zeros(1 << 20, bool)

@@ -68,6 +68,25 @@ def word_keys(texts: list[bytes], parts: list[Part], blank: np.ndarray = SPACE,
     return mix(np.add.reduceat(term, start) + length.astype(np.uint64) * _A), counts
 
 
+def keys_by_text(texts: list[bytes], blank: np.ndarray = SPACE) -> list[np.ndarray]:
+    """The word keys of each text."""
+    out: list[list[np.ndarray]] = [[] for _ in texts]
+    for parts in parts_of(texts):
+        keys, counts = word_keys(texts, parts, blank)
+        for (i, _, _), piece in zip(parts, np.split(keys, np.cumsum(counts)[:-1])):
+            out[i].append(piece)
+    return [np.concatenate(x) if len(x) != 1 else x[0] for x in out]
+
+
+def gram_keys(words: np.ndarray, q: int) -> np.ndarray:
+    """A key for each run of q words."""
+    n = max(0, len(words) - q + 1)
+    key = mix(words[:n] + np.uint64(q))
+    for j in range(1, q):
+        key = mix(key * np.uint64(3) ^ words[j : j + n])
+    return key
+
+
 class KeyTable:
     """Open addressing from distinct 64-bit keys to their row numbers."""
 
