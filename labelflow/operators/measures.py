@@ -41,7 +41,7 @@ def errors(sketch: DataFrame, exact: DataFrame, pairs: DataFrame, spec: SketchSp
 
 def all_pairs(nodes: DataFrame, labels: int) -> DataFrame:
     """Each node with each of a small number of labels."""
-    return nodes.select("node", F.explode(F.sequence(F.lit(0), F.lit(labels - 1))).cast("long").alias("label"))
+    return nodes.select("node", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(labels - 1).cast("long"))).alias("label"))
 
 
 def approximation_error(sketch: DataFrame, exact: DataFrame, pairs: DataFrame, spec: SketchSpec, eps: float) -> DataFrame:

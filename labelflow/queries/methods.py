@@ -77,7 +77,7 @@ def cms_hash_cells(spark, sf_dir):
 
 @query(with_([_EV, encoded("c", "ev", STREAM)]) + " SELECT node, cell, round(val, 6) AS val FROM c")
 def cms_update(spark, sf_dir):
-    return cms.encode(_events(spark, sf_dir), "label", "score", ["node"], STREAM).select("node", "cell", r6("val").alias("val"))
+    return cms.encode(_events(spark, sf_dir), "label", "score", ["node"], STREAM).select("node", F.col("cell").cast("long").alias("cell"), r6("val").alias("val"))
 
 
 @query(with_([_EV, encoded("c", "ev", STREAM), estimates("e", "ev", "c", STREAM)]) + " SELECT e.node, e.label AS key, round(e.estimate, 6) AS estimate, round(v.score, 6) AS exact FROM e JOIN ev v ON e.node = v.node AND e.label = v.label")
@@ -102,7 +102,7 @@ def _kind(spark, sf_dir, kind):
 @query(with_([*_TWO, encoded("x", "a", STREAM), encoded("y", "b", STREAM)]) + " SELECT node, cell, round(sum(val), 6) + 0.0 AS val FROM (SELECT node, cell, 2.0 * val AS val FROM x UNION ALL SELECT node, cell, 0.5 * val FROM y) GROUP BY 1, 2 HAVING sum(val) <> 0")
 def cms_linear_combination(spark, sf_dir):
     code = lambda kind: cms.encode(_kind(spark, sf_dir, kind), "label", "score", ["node"], STREAM)
-    return cms.combine([(2.0, code("click")), (0.5, code("view"))], ["node"]).select("node", "cell", r6("val").alias("val"))
+    return cms.combine([(2.0, code("click")), (0.5, code("view"))], ["node"]).select("node", F.col("cell").cast("long").alias("cell"), r6("val").alias("val"))
 
 
 @query(with_([_EV, encoded("c", "ev", STREAM)]) + f" SELECT node, (cell // {STREAM.width})::BIGINT AS row, round(sum(val), 5) AS mass FROM c GROUP BY 1, 2")
@@ -192,7 +192,7 @@ def _scores(df: DataFrame) -> DataFrame:
 
 
 def _cells(df: DataFrame) -> DataFrame:
-    return df.select("node", "cell", r6("val").alias("val"))
+    return df.select("node", F.col("cell").cast("long").alias("cell"), r6("val").alias("val"))
 
 
 @query(with_(KB, ma(), iterate(1)) + " SELECT node, label, round(score, 6) AS score FROM y1")
@@ -220,7 +220,7 @@ def _objective_sql(t: int) -> str:
     {MU3}::DOUBLE * (SELECT sum(score * score) FROM y{t}) AS prior"""
 
 
-@query(with_(KB, ma(), iterate(3)) + " SELECT iter::BIGINT AS iter, round(fit, 5) AS fit, round(smooth, 5) AS smooth, round(prior, 5) AS prior, round(fit + smooth + prior, 5) AS total FROM (" + " UNION ALL ".join(_objective_sql(t).replace("e JOIN y" + str(t) + " y ON y.node = e.src OR y.node = e.dst", f"(SELECT src AS at, * FROM edges UNION ALL SELECT dst, * FROM edges) e JOIN y{t} y ON y.node = e.at") for t in range(4)) + ")")
+@query(with_(KB, ma(), iterate(3)) + " SELECT iter::BIGINT AS iter, round(fit, 5) AS fit, round(smooth, 5) AS smooth, round(prior, 5) AS prior, round(fit + smooth + prior, 5) AS total FROM (" + " UNION ALL ".join(_objective_sql(t).replace("edges e JOIN y" + str(t) + " y ON y.node = e.src OR y.node = e.dst", f"(SELECT src AS at, * FROM edges UNION ALL SELECT dst, * FROM edges) e JOIN y{t} y ON y.node = e.at") for t in range(4)) + ")")
 def ma_objective_trace(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
     out = None
@@ -671,7 +671,7 @@ def _knn_sql() -> str:
 
 @query(name="knn_labels")
 def knn_labels(spark, sf_dir):
-    from ..operators.graph import clean, merge_parallel
+    from ..operators.graph import merge_parallel
 
     edges = cut(merge_parallel(graphs.knn_pairs(spark, sf_dir), "max").filter("w > 0"), "knn")
     gold = seeds.from_embeddings(spark, sf_dir)

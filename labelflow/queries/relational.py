@@ -113,12 +113,12 @@ def co_activity_edges(spark, sf_dir):
     return graphs.co_activity(spark, sf_dir, 60)
 
 
-@query("""SELECT event_id, user_id, last_value(CASE WHEN event_type = 'signup' THEN event_id END IGNORE NULLS)
-OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS last_signup FROM events""")
+@query("""SELECT event_id, user_id, coalesce(last_value(CASE WHEN event_type = 'signup' THEN event_id END IGNORE NULLS)
+OVER (PARTITION BY user_id ORDER BY ts, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), -1) AS last_signup FROM events""")
 def label_as_of_event(spark, sf_dir):
     before = Window.partitionBy("user_id").orderBy("ts", "event_id").rowsBetween(Window.unboundedPreceding, -1)
     signup = F.when(F.col("event_type") == "signup", F.col("event_id"))
-    return table(spark, sf_dir, "events").select("event_id", "user_id", F.last(signup, ignorenulls=True).over(before).alias("last_signup"))
+    return table(spark, sf_dir, "events").select("event_id", "user_id", F.coalesce(F.last(signup, ignorenulls=True).over(before), F.lit(-1)).cast("long").alias("last_signup"))
 
 
 @query(with_(KB, ma(), iterate(2)) + " SELECT coalesce(a.node, b.node) AS node, coalesce(a.label, b.label) AS label, round(coalesce(b.score, 0) - coalesce(a.score, 0), 6) + 0.0 AS delta FROM y1 a FULL JOIN y2 b ON a.node = b.node AND a.label = b.label")
@@ -283,7 +283,7 @@ S20 = fx.spec(20, 3)
 @query(with_(KB) + f" SELECT node, {cells_sql('label', S20)} AS cell, 1.0 AS val FROM seeds".replace("SELECT node, unnest", "SELECT node, cell, sum(val)::DOUBLE AS val FROM (SELECT node, unnest") + ") GROUP BY 1, 2")
 def block_sketch_roundtrip(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    return cms.to_cells(cms.encode(t.seeds, "label", "score", ["node"], S20, "block"), ["node"])
+    return cms.to_cells(cms.encode(t.seeds, "label", "score", ["node"], S20, "block"), ["node"]).withColumn("cell", F.col("cell").cast("long"))
 
 
 @query(with_(KB) + " SELECT node, label, score AS score FROM seeds")
