@@ -31,13 +31,15 @@ from pyspark.sql import functions as F
 from .anchors import _R2, rolling, segments
 from .common import id_of, materialise, text_of
 from .pfp import PrefixFreeParse
-from .words import SLICE, mix
+from .words import mix
 
 _LAST = (1 << 63) - 1
 _SCHEMA = "kind int, h long, s long, doc long, uid long, pos long, n long"
 _NAMES = ["kind", "h", "s", "doc", "uid", "pos", "n"]
 CANDIDATE, MARKER, CONTESTED, REPEAT, HEAD = range(5)
-_ORDER_BYTES = 4 << 20
+_ORDER_BYTES = 1 << 20
+#: Strings whose starts are hashed at once.
+_PARSE = 1 << 20
 
 
 def _rows(kind: int, **columns: np.ndarray) -> Iterator[pa.RecordBatch]:
@@ -80,11 +82,11 @@ def _parse_task(span: int, gram: int):
             texts = [t.encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()]
             docs, uids = batch.column(0).to_numpy(), batch.column(1).to_numpy()
             # strings start in [a, b) of text i
-            pieces = [(i, a, min(a + SLICE, len(t) - span + 1)) for i, t in enumerate(texts) for a in range(0, len(t) - span + 1, SLICE)]
+            pieces = [(i, a, min(a + _PARSE, len(t) - span + 1)) for i, t in enumerate(texts) for a in range(0, len(t) - span + 1, _PARSE)]
             at = 0
             while at < len(pieces):
                 group, size = [], 0
-                while at < len(pieces) and (not group or size + pieces[at][2] - pieces[at][1] + span <= 2 * SLICE):
+                while at < len(pieces) and (not group or size + pieces[at][2] - pieces[at][1] + span <= _PARSE):
                     group.append(pieces[at])
                     size += pieces[at][2] - pieces[at][1] + span
                     at += 1
@@ -230,7 +232,7 @@ def _by_document(docs: DataFrame, found: DataFrame, how: str, columns: list[str]
     return docs.join(F.broadcast(grouped) if few else grouped, ["doc", "uid"], how)
 
 
-def repeated_ranges(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", span: int = 100, gram: int = 32, hot_rows: int = 20_000, task_bytes: int = 15_000_000, broadcast_rows: int = 2_000_000) -> DataFrame:
+def repeated_ranges(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", span: int = 100, gram: int = 32, hot_rows: int = 5_000, task_bytes: int = 15_000_000, broadcast_rows: int = 2_000_000) -> DataFrame:
     """doc, uid, pos, n: byte ranges (they may overlap) of repeated strings. ``doc`` is the id, nulls last."""
     keyed = _keyed(docs, id_col, text_col)
     size = keyed.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
