@@ -28,7 +28,7 @@ from .common import id_of, text_of
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 #: Distinct pieces whose ids a worker keeps; about 100 bytes each.
-_CACHE_PIECES = 800_000
+_CACHE_PIECES = 400_000
 
 
 def byte_characters() -> list[str]:
