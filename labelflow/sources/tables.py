@@ -34,7 +34,7 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def _read(spark: SparkSession, path: str, fmt: str, schema: str) -> tuple[DataFrame, DataFrame]:
-    """Rows that fit the schema, and those that don't as text (csv, tsv and json only)."""
+    """Rows that fit the schema, and those that don't with their text in _corrupt_record (csv, tsv and json only)."""
     if fmt in ("parquet", "orc"):
         df = spark.read.schema(schema).format(fmt).load(path)
         return df, df.limit(0).select(F.lit("").alias("_corrupt_record"))
@@ -42,7 +42,7 @@ def _read(spark: SparkSession, path: str, fmt: str, schema: str) -> tuple[DataFr
     reader = reader.format("json") if fmt == "json" else reader.format("csv").option("header", fmt == "csv").option("sep", "," if fmt == "csv" else "\t")
     df = reader.load(path)
     bad = F.col("_corrupt_record").isNotNull()
-    return df.filter(~bad).drop("_corrupt_record"), df.filter(bad).select("_corrupt_record")
+    return df.filter(~bad).drop("_corrupt_record"), df.filter(bad)
 
 
 def read_edges(spark: SparkSession, path: str, fmt: str = "parquet") -> tuple[DataFrame, DataFrame]:
