@@ -74,6 +74,18 @@ def _features(texts: list[bytes], table: KeyTable | None = None) -> tuple[np.nda
     return np.concatenate(owners), np.concatenate(keys)
 
 
+def _groups(texts: list[bytes], size: int = 4 << 20) -> Iterator[tuple[int, int]]:
+    """Ranges of texts of about so many bytes, whose features are made at once."""
+    start = held = 0
+    for i, t in enumerate(texts):
+        held += len(t)
+        if held >= size:
+            yield start, i + 1
+            start, held = i + 1, 0
+    if start < len(texts):
+        yield start, len(texts)
+
+
 def _once(owner: np.ndarray, key: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Each pair once."""
     _, first = np.unique(key ^ mix(owner.astype(np.uint64) + np.uint64(1)), return_index=True)
@@ -89,6 +101,10 @@ class Classifier:
     bias: np.ndarray
 
     def logits(self, texts: list[bytes]) -> np.ndarray:
+        parts = [self._logits(texts[a:b]) for a, b in _groups(texts)]
+        return np.concatenate(parts) if parts else np.zeros((0, len(HEADS)))
+
+    def _logits(self, texts: list[bytes]) -> np.ndarray:
         table = self.__dict__.setdefault("_table", KeyTable(self.keys))
         owner, row = _features(texts, table)
         pair = np.unique(owner * max(1, len(self.keys)) + row)
@@ -99,7 +115,7 @@ class Classifier:
         return {k: v for k, v in self.__dict__.items() if k != "_table"}
 
 
-def _fit_logistic(owner: np.ndarray, row: np.ndarray, n_features: int, target: np.ndarray, ridge: float = 0.5, rounds: int = 400) -> tuple[np.ndarray, float]:
+def _fit_logistic(owner: np.ndarray, row: np.ndarray, n_features: int, target: np.ndarray, ridge: float = 0.5, rounds: int = 250) -> tuple[np.ndarray, float]:
     """Ridge logistic regression on binary features by accelerated gradient steps."""
     n = len(target)
     rate = (target.sum() + 0.5) / (n + 1)
@@ -107,10 +123,10 @@ def _fit_logistic(owner: np.ndarray, row: np.ndarray, n_features: int, target: n
     per_row = np.bincount(owner, minlength=n)
     step = 4.0 / (n * 1.0 + 1e-9) / max(1.0, np.percentile(per_row, 90) if n else 1)
     vw, vb = w.copy(), b
+    freq = np.maximum(np.bincount(row, minlength=n_features), 1)
     for t in range(rounds):
         z = vb + np.bincount(owner, vw[row], n)
         gap = 1 / (1 + np.exp(-np.clip(z, -30, 30))) - target
-        freq = np.maximum(np.bincount(row, minlength=n_features), 1)
         new_w = vw - step * n * (np.bincount(row, gap[owner], n_features) + ridge * vw) / (freq + ridge) / 2
         new_b = vb - step * gap.sum()
         pull = t / (t + 3)
@@ -119,7 +135,7 @@ def _fit_logistic(owner: np.ndarray, row: np.ndarray, n_features: int, target: n
     return w, b
 
 
-def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sample_rows: int = 20_000, max_features: int = 20_000, least_rows: int = 4, least_z: float = 5.0) -> Classifier:
+def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sample_rows: int = 20_000, max_features: int = 4_000, least_rows: int = 4, least_z: float = 5.0) -> Classifier:
     """The classifier of a bounded sample of the labelled rows (quality 0 is low; null labels count as neither)."""
     order = F.xxhash64(F.col("doc_id"))
     picked = (
@@ -136,17 +152,18 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
         for batch in batches:
             texts = [x.encode("utf-8", "surrogatepass") for x in batch.column(0).to_pylist()]
             marks = np.stack([np.ones(len(texts)), batch.column(1).to_numpy(), batch.column(2).to_numpy()], axis=1).astype(np.int64)
-            owner, key = _once(*_features(texts))
-            found, where = np.unique(np.concatenate([keys, key]), return_inverse=True)
-            values = np.concatenate([sums, marks[owner]])
-            sums = np.stack([np.bincount(where, values[:, j], len(found)) for j in range(3)], axis=1).astype(np.int64)
-            keys = found
+            for a, b in _groups(texts):
+                owner, key = _once(*_features(texts[a:b]))
+                found, where = np.unique(np.concatenate([keys, key]), return_inverse=True)
+                values = np.concatenate([sums, marks[a + owner]])
+                sums = np.stack([np.bincount(where, values[:, j], len(found)) for j in range(3)], axis=1).astype(np.int64)
+                keys = found
         if len(keys):
             yield pa.RecordBatch.from_arrays([pa.array(keys.view(np.int64)), *(pa.array(sums[:, j]) for j in range(3))], names=["key", "n", "low", "toxic"])
 
     whole = rows.agg(F.count(F.lit(1)).alias("n"), F.sum("low").alias("low"), F.sum("toxic").alias("toxic")).first()
     n = whole["n"]
-    if not n:
+    if not n:  # nothing is labelled
         return Classifier(np.empty(0, np.uint64), np.zeros((0, 2)), np.full(2, -30.0))
     z = []
     for head in HEADS:
@@ -162,10 +179,13 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
 
     def design(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            owner, row = _features([x.encode("utf-8", "surrogatepass") for x in batch.column(0).to_pylist()], table)
-            lists: list[list[int]] = [[] for _ in range(batch.num_rows)]
-            for o, r in sorted(set(zip(owner.tolist(), row.tolist()))):
-                lists[o].append(r)
+            texts = [x.encode("utf-8", "surrogatepass") for x in batch.column(0).to_pylist()]
+            lists: list[np.ndarray] = []
+            for a, b in _groups(texts):
+                owner, row = _features(texts[a:b], table)
+                pair = np.unique(owner * max(1, len(keys)) + row)
+                ends = np.searchsorted(pair, np.arange(1, b - a) * max(1, len(keys)))
+                lists += np.split((pair % max(1, len(keys))).astype(np.int32), ends)
             yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), pa.array(lists, pa.list_(pa.int32()))], names=["low", "toxic", "rows"])
 
     held = rows.mapInArrow(design, "low int, toxic int, rows array<int>").toArrow()  # at most sample_rows rows
