@@ -232,7 +232,7 @@ def _by_document(docs: DataFrame, found: DataFrame, how: str, columns: list[str]
     return docs.join(F.broadcast(grouped) if few else grouped, ["doc", "uid"], how)
 
 
-def repeated_ranges(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", span: int = 100, gram: int = 32, hot_rows: int = 5_000, task_bytes: int = 15_000_000, broadcast_rows: int = 2_000_000) -> DataFrame:
+def repeated_ranges(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", span: int = 100, gram: int = 32, hot_rows: int = 5_000, task_bytes: int = 15_000_000, broadcast_rows: int = 0) -> DataFrame:
     """doc, uid, pos, n: byte ranges (they may overlap) of repeated strings. ``doc`` is the id, nulls last."""
     keyed = _keyed(docs, id_col, text_col)
     size = keyed.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
@@ -273,7 +273,7 @@ def _kept(raw: bytes, spans: list[tuple[int, int]]) -> bytes:
     return b"".join(parts) + raw[at:]
 
 
-def repeat_report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 2_000_000, with_text: bool = False, **options) -> DataFrame:
+def repeat_report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", broadcast_rows: int = 0, with_text: bool = False, **options) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 (and kept, the bytes) for each row.
 
     Strings are judged on the input, not on what is left; none crosses documents. Null texts count as empty. Null ids
