@@ -336,7 +336,7 @@ def _all_estimates(cells: str, spec) -> list[str]:
     return [f"idx AS (SELECT label, {cells_sql('label', spec)} AS cell FROM dict)", f"est AS (SELECT c.node, i.label, min(c.val) AS estimate FROM {cells} c JOIN idx i USING (cell) WHERE c.val > 0 GROUP BY 1, 2 HAVING count(*) = {spec.depth})"]
 
 
-@query(with_(KB, ma(), sketched(2, WIDE), _all_estimates("s2", WIDE)) + " SELECT node, label, round(estimate, 6) AS estimate, rank::BIGINT AS rank FROM (SELECT *, row_number() OVER (PARTITION BY node ORDER BY round(estimate, 9) DESC, label) AS rank FROM est) WHERE rank <= 3")
+@query(with_(KB, ma(), sketched(2, WIDE), _all_estimates("s2", WIDE)) + " SELECT node, label, round(round(estimate, 9), 6) AS estimate, rank::BIGINT AS rank FROM (SELECT *, row_number() OVER (PARTITION BY node ORDER BY round(estimate, 9) DESC, label) AS rank FROM est) WHERE rank <= 3")
 def decode_topk(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
     s = sketch(spark, sf_dir, 2, WIDE).withColumn("val", F.round("val", 9))
@@ -395,10 +395,11 @@ def restart_t3(spark, sf_dir):
     return _scores(propagate(affine.restart_walk(t.edges, t.seeds, 0.85), t.seeds, max_iter=3).scores)
 
 
-@query(with_(KB, [SYM, "tot AS (SELECT dst, sum(w) AS t FROM sym GROUP BY 1)", "coef AS (SELECT s.src, s.dst, 0.85::DOUBLE * w / sqrt(a.t * b.t) AS coef FROM sym s JOIN tot a ON a.dst = s.dst JOIN tot b ON b.dst = s.src)", "fixed AS (SELECT node, label, (1.0::DOUBLE - 0.85::DOUBLE) * score AS score FROM seeds)"], iterate(2)) + " SELECT node, label, round(score, 6) AS score FROM y2")
+@query(with_(KB, [SYM, "tot AS (SELECT dst, sum(w) AS t FROM sym GROUP BY 1)", "coef AS (SELECT s.src, s.dst, 0.85::DOUBLE * w / sqrt(a.t * b.t) AS coef FROM sym s JOIN tot a ON a.dst = s.dst JOIN tot b ON b.dst = s.src)", "fixed AS (SELECT node, label, (1.0::DOUBLE - 0.85::DOUBLE) * score AS score FROM seeds)"], iterate(2)) + " SELECT node, label, round(score, 8) AS score FROM y2")
 def restart_sym_t2(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    return _scores(propagate(affine.restart_walk(t.edges, t.seeds, 0.85, "sym"), t.seeds, max_iter=2).scores)
+    y = propagate(affine.restart_walk(t.edges, t.seeds, 0.85, "sym"), t.seeds, max_iter=2).scores
+    return y.select("node", "label", F.round("score", 8).alias("score"))
 
 
 # Measures ----------------------------------------------------------------------------------------------------------

@@ -44,11 +44,11 @@ def edges_filtered_by_date(spark, sf_dir):
     return rows.select("l_orderkey", "l_partkey").distinct()
 
 
-@query("SELECT l_partkey AS src, l_suppkey AS dst, round(sum(CAST(l_extendedprice AS DECIMAL(18,4)) * (1 - CAST(l_discount AS DECIMAL(18,4))))::DOUBLE, 2) AS w FROM lineitem GROUP BY 1, 2")
+@query("SELECT l_partkey AS src, l_suppkey AS dst, round(sum(CAST(l_extendedprice AS DECIMAL(18,4)) * (1 - CAST(l_discount AS DECIMAL(18,4))))::DOUBLE, 6) AS w FROM lineitem GROUP BY 1, 2")
 def weighted_trade_edges(spark, sf_dir):
     d = lambda c: F.col(c).cast("decimal(18,4)")
     rows = table(spark, sf_dir, "lineitem").groupBy(F.col("l_partkey").alias("src"), F.col("l_suppkey").alias("dst"))
-    return rows.agg(F.round(F.sum(d("l_extendedprice") * (F.lit(1).cast("decimal(18,4)") - d("l_discount"))).cast("double"), 2).alias("w"))
+    return rows.agg(F.round(F.sum(d("l_extendedprice") * (F.lit(1).cast("decimal(18,4)") - d("l_discount"))).cast("double"), 6).alias("w"))
 
 
 @query("SELECT o_custkey AS c_custkey, l_partkey, count(*)::DOUBLE AS w FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY 1, 2")
@@ -211,10 +211,10 @@ def score_gap_to_runner_up(spark, sf_dir):
     return out.filter("rn = 1").select("node", "label", "gap")
 
 
-@query(Y2 + """ SELECT node, label, round(sum(score) OVER (PARTITION BY node ORDER BY score DESC, label ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING), 5) AS tail FROM (SELECT node, label, round(score, 8) AS score FROM y2) r""")
+@query(Y2 + """ SELECT node, label, round(sum(score) OVER (PARTITION BY node ORDER BY score DESC, label ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING), 9) AS tail FROM (SELECT node, label, round(score, 8) AS score FROM y2) r""")
 def tail_mass_profile(spark, sf_dir):
     w = Window.partitionBy("node").orderBy(F.desc("score"), "label").rowsBetween(Window.currentRow, Window.unboundedFollowing)
-    return _y2(spark, sf_dir).withColumn("score", F.round("score", 8)).select("node", "label", F.round(F.sum("score").over(w), 5).alias("tail"))
+    return _y2(spark, sf_dir).withColumn("score", F.round("score", 8)).select("node", "label", F.round(F.sum("score").over(w), 9).alias("tail"))
 
 
 DEG = "deg AS (SELECT node, sum(w) AS deg FROM (SELECT src AS node, w FROM edges UNION ALL SELECT dst, w FROM edges) GROUP BY 1)"
