@@ -395,11 +395,11 @@ def restart_t3(spark, sf_dir):
     return _scores(propagate(affine.restart_walk(t.edges, t.seeds, 0.85), t.seeds, max_iter=3).scores)
 
 
-@query(with_(KB, [SYM, "tot AS (SELECT dst, sum(w) AS t FROM sym GROUP BY 1)", "coef AS (SELECT s.src, s.dst, 0.85::DOUBLE * w / sqrt(a.t * b.t) AS coef FROM sym s JOIN tot a ON a.dst = s.dst JOIN tot b ON b.dst = s.src)", "fixed AS (SELECT node, label, (1.0::DOUBLE - 0.85::DOUBLE) * score AS score FROM seeds)"], iterate(2)) + " SELECT node, label, round(score, 8) AS score FROM y2")
+@query(with_(KB, [SYM, "tot AS (SELECT dst, sum(w) AS t FROM sym GROUP BY 1)", "coef AS (SELECT s.src, s.dst, 0.85::DOUBLE * w / sqrt(a.t * b.t) AS coef FROM sym s JOIN tot a ON a.dst = s.dst JOIN tot b ON b.dst = s.src)", "fixed AS (SELECT node, label, (1.0::DOUBLE - 0.85::DOUBLE) * score AS score FROM seeds)"], iterate(2)) + " SELECT node, label, round(score + 1e-11::DOUBLE, 8) AS score FROM y2")
 def restart_sym_t2(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
     y = propagate(affine.restart_walk(t.edges, t.seeds, 0.85, "sym"), t.seeds, max_iter=2).scores
-    return y.select("node", "label", F.round("score", 8).alias("score"))
+    return y.select("node", "label", F.round(F.col("score") + 1e-11, 8).alias("score"))
 
 
 # Measures ----------------------------------------------------------------------------------------------------------
