@@ -14,13 +14,22 @@ FRONTIER = 2_000_000
 
 
 class Forest:
-    """BK-trees of the distinct fingerprints of each bucket. ``bucket`` numbers the tree of each key."""
+    """BK-trees of the distinct fingerprints of each bucket. ``bucket`` numbers the tree of each key.
+
+    Of equal keys of a bucket the first is the node, and a search that meets it finds all of them.
+    """
 
     def __init__(self, keys: np.ndarray, bucket: np.ndarray):
         self.keys = np.asarray(keys, np.uint64)
         _, first, inverse = np.unique(bucket, return_index=True, return_inverse=True)
         at = self.root = first[inverse].astype(np.int64)
-        todo = np.flatnonzero(at != np.arange(len(at)))
+        self.equal = np.lexsort((self.keys, inverse))
+        head = np.ones(len(at), bool)
+        head[1:] = (np.diff(self.keys[self.equal]) != 0) | (np.diff(inverse[self.equal]) != 0)
+        begin = np.flatnonzero(head)
+        self.begin, self.copies = np.zeros(len(at), np.int64), np.zeros(len(at), np.int64)
+        self.begin[self.equal[begin]], self.copies[self.equal[begin]] = begin, np.diff(np.append(begin, len(at)))
+        todo = np.flatnonzero((at != np.arange(len(at))) & (self.copies > 0))
         at = at[todo]
         codes, children = [], []
         while len(todo):
@@ -47,9 +56,9 @@ class Forest:
                 stack += [(q[: len(q) // 2], node[: len(q) // 2]), (q[len(q) // 2 :], node[len(q) // 2 :])]
                 continue
             d = np.bitwise_count(self.keys[q] ^ self.keys[node]).astype(np.int64)
-            hit = (d <= radius) & (q != node)
+            hit = (d <= radius) & ((q != node) | (self.copies[node] > 1))
             if hit.any():
-                yield q[hit], node[hit]
+                yield from self._members(q[hit], node[hit])
             low = np.searchsorted(self.codes, node * 65 + np.maximum(d - radius, 1), "left")
             high = np.searchsorted(self.codes, node * 65 + np.minimum(d + radius, 64), "right")
             n = high - low
@@ -58,6 +67,21 @@ class Forest:
                 to = np.repeat(low - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(total)
                 stack.append((np.repeat(q, n), self.children[to]))
 
+    def _members(self, q: np.ndarray, node: np.ndarray):
+        """Yield (query, key) for all keys equal to each node, but for the query itself."""
+        ends = np.cumsum(self.copies[node])
+        at = 0
+        while at < len(q):
+            done = int(ends[at - 1]) if at else 0
+            to = max(at + 1, int(np.searchsorted(ends, done + FRONTIER, "right")))
+            n = self.copies[node[at:to]]
+            member = self.equal[np.repeat(self.begin[node[at:to]] - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))]
+            who = np.repeat(q[at:to], n)
+            other = who != member
+            if other.any():
+                yield who[other], member[other]
+            at = to
+
 
 class Union:
     """Union-find over 0..n-1 that keeps the smallest member as the root."""

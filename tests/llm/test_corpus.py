@@ -40,6 +40,14 @@ def test_trees_find_all_neighbours():
     assert got == want
 
 
+def test_trees_find_equal_keys():
+    keys = np.array([5, 5, 9, 5, 1 << 40, 9, 1 << 40, 5], np.uint64)
+    bucket = np.array([0, 0, 0, 1, 1, 0, 1, 1], np.int64)
+    got = [(int(a), int(b)) for x, y in Forest(keys, bucket).search(2) for a, b in zip(x, y)]
+    want = {(i, j) for i in range(len(keys)) for j in range(len(keys)) if i != j and bucket[i] == bucket[j] and int(keys[i] ^ keys[j]).bit_count() <= 2}
+    assert set(got) == want and len(got) == len(want)
+
+
 def test_components(spark):
     rnd = random.Random(2)
     links = [(rnd.randrange(200), rnd.randrange(200)) for _ in range(120)] + [(i, i + 1) for i in range(300, 340)]
