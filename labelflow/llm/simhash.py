@@ -24,6 +24,7 @@ from pyspark.sql import functions as F
 from .bktree import Forest, Union
 from .common import id_of, materialise, text_of, without_ids
 from .components import connected_components
+from .verify import SLICE_ROWS, exact_links, node_of
 from .words import gram_keys, keys_by_text, mix
 
 SHINGLE_SEED = 42
@@ -75,25 +76,19 @@ def _bucket_keys(fp: Column, blocks: int, radius: int, first: int) -> Column:
     return F.array(*tables)
 
 
-def hamming_links(nodes: DataFrame, fp_cols: tuple[str, ...] = ("fp",), *, radius: int = 3, tree_size: int = 1024, unit_rows: int = 200_000, similarity: float | None = None) -> DataFrame:
-    """(a, b) links of ``node`` longs whose components are those of all pairs within ``radius`` bits in a column.
-
-    With ``similarity``, pairs must also reach it by their ``sketch`` columns.
-    """
+def hamming_links(nodes: DataFrame, *, radius: int = 3, tree_size: int = 1024, unit_rows: int = 200_000) -> DataFrame:
+    """(a, b) links of ``node`` longs whose components are those of all pairs of ``fp`` within ``radius`` bits."""
     n = nodes.count()
     blocks = _blocks(n, radius)
-    tables = None
-    for i, c in enumerate(fp_cols):
-        part = nodes.select("node", F.col(c).alias("fp"), *["sketch"] * (similarity is not None), F.explode(_bucket_keys(F.col(c), blocks, radius, 100_000 * i)).alias("key"))
-        tables = part if tables is None else tables.unionByName(part)
+    tables = nodes.select("node", "fp", F.explode(_bucket_keys(F.col("fp"), blocks, radius, 0)).alias("key"))
     counts = tables.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select(F.col("key").alias("k"), "n")
     held = tables.join(counts, F.col("key") == F.col("k")).withColumn("trees", F.ceil(F.col("n") / tree_size).cast("int"))
     units = (
         held.withColumn("own", F.pmod(F.xxhash64("node", F.lit(7)), F.col("trees")).cast("int"))
         .withColumn("other", F.explode(F.sequence(F.lit(0), F.col("trees") - 1)))
-        .select("node", "fp", *["sketch"] * (similarity is not None), F.xxhash64("key.t", "key.bits", F.least("own", "other"), F.greatest("own", "other")).alias("unit"))
+        .select("node", "fp", F.xxhash64("key.t", "key.bits", F.least("own", "other"), F.greatest("own", "other")).alias("unit"))
     )
-    parts = max(int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")), len(fp_cols) * n * math.comb(blocks, radius) // unit_rows + 1)
+    parts = max(int(nodes.sparkSession.conf.get("spark.sql.shuffle.partitions")), n * math.comb(blocks, radius) // unit_rows + 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = pa.Table.from_batches(found) if (found := list(batches)) else None
@@ -101,20 +96,8 @@ def hamming_links(nodes: DataFrame, fp_cols: tuple[str, ...] = ("fp",), *, radiu
             return
         node = table.column("node").to_numpy()
         forest, union = Forest(table.column("fp").to_numpy().view(np.uint64), table.column("unit").to_numpy()), Union(len(node))
-        sketch = None
-        if similarity is not None:
-            sketch = np.frombuffer(b"".join(table.column("sketch").to_pylist()), np.uint8).reshape(len(node), -1)
         for a, b in forest.search(radius):
-            if sketch is None:
-                union.add(a, b)
-                continue
-            for i in range(0, len(a), 50_000):
-                root = union.roots()
-                x, y = a[i : i + 50_000], b[i : i + 50_000]
-                apart = root[x] != root[y]
-                x, y = x[apart], y[apart]
-                alike = resemblance(sketch[x], sketch[y]) >= similarity
-                union.add(x[alike], y[alike])
+            union.add(a, b)
         root = union.roots()
         moved = np.flatnonzero(root != np.arange(len(root)))
         yield pa.RecordBatch.from_arrays([pa.array(node[moved]), pa.array(node[root[moved]])], names=["a", "b"])
@@ -122,17 +105,14 @@ def hamming_links(nodes: DataFrame, fp_cols: tuple[str, ...] = ("fp",), *, radiu
     return units.repartition(parts, "unit").mapInArrow(run, "a long, b long")
 
 
-def resemblance(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """The estimated Jaccard similarity of sketches, row by row."""
-    used = ((a > 0) | (b > 0)).sum(axis=1)
-    return np.where(used, ((a == b) & (a > 0)).sum(axis=1) / np.maximum(used, 1), 1.0)
-
+def star_links(keyed: DataFrame) -> DataFrame:
+    """(a, b) links of each ``node`` to the smallest one of the same ``key``."""
+    lows = keyed.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.min("node").alias("b")).filter("n > 1").select(F.col("key").alias("k"), "b")
+    return keyed.join(lows, F.col("key") == F.col("k")).filter("node != b").select(F.col("node").alias("a"), "b")
 
-def near_sketch(words: np.ndarray, shingle: int, bins: int) -> tuple[int, int, bytes]:
-    """Two fingerprints of the word pairs under independent hashes, and a one-permutation sketch of the shingles.
 
-    The sketch keeps a byte of the least hash in each bin, 0 where the bin is empty.
-    """
+def pair_prints(words: np.ndarray) -> tuple[int, int]:
+    """Two fingerprints of the word pairs under independent hashes."""
     pairs = gram_keys(words, min(2, len(words))) if len(words) else words
     out = []
     for salt in (0x1B873593, 0x85EBCA6B):
@@ -141,13 +121,7 @@ def near_sketch(words: np.ndarray, shingle: int, bins: int) -> tuple[int, int, b
             hashes = mix(pairs[i : i + _CHUNK] * np.uint64(2 * salt + 1))
             ones += np.unpackbits(hashes.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
         out.append(int(np.packbits(ones * 2 > len(pairs), bitorder="little").view("<i8")[0]))
-    sketch = np.zeros(bins, np.uint8)
-    if len(words):
-        hashes = np.sort(mix(gram_keys(words, min(shingle, len(words))) ^ np.uint64(0x5851F42D4C957F2D)))
-        slot = (hashes >> np.uint64(32)) * np.uint64(bins) >> np.uint64(32)
-        first = np.flatnonzero(np.append(True, slot[1:] != slot[:-1]))
-        sketch[slot[first].astype(np.int64)] = (mix(hashes[first]) % np.uint64(255)).astype(np.uint8) + 1
-    return out[0], out[1], sketch.tobytes()
+    return out[0], out[1]
 
 
 def simhash_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 3, radius: int = 3, tree_size: int = 1024) -> DataFrame:
@@ -168,26 +142,34 @@ def simhash_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str
     return fps.join(members, F.col("fp") == F.col("f")).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8, radius: int = 6, bins: int = 256, tree_size: int = 1024) -> DataFrame:
+def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8, radius: int = 6, tree_size: int = 1024, unit_rows: int = 1024) -> DataFrame:
     """doc_id, component_id (smallest doc_id reachable) for each row, by resemblance of word shingles.
 
-    Candidates are pairs within ``radius`` bits in either of two fingerprints of word pairs, found by the trees;
-    they are linked if the Jaccard similarity of their shingles, estimated from a sketch of ``bins`` bytes
-    (standard error 0.025 at 0.8), reaches ``similarity``. Texts shorter than a shingle are one shingle; texts without
+    Loose components join texts within ``radius`` bits in either of two fingerprints of word pairs, and texts of
+    equal ones. Within a loose component all pairs are compared on their full sets of shingles and linked if the similarity is
+    at least ``similarity``. Texts shorter than a shingle are one shingle; texts without
     words resemble each other only. Nulls, repeated rows and other columns are as in :func:`simhash_components`.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            words = keys_by_text([t.encode("utf-8", "surrogatepass") for t in batch.column(1).to_pylist()])
-            found = [near_sketch(w, shingle, bins) for w in words]
-            arrays = [batch.column(0), *(pa.array([x[j] for x in found], pa.int64()) for j in (0, 1)), pa.array([x[2] for x in found], pa.binary())]
-            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "fp", "fp2", "sketch"])
-
-    rows = docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text")).mapInArrow(run, "doc_id long, fp long, fp2 long, sketch binary")
-    rows = materialise(rows.withColumn("node", F.xxhash64("fp", "fp2", "sketch")), "near-rows")
-    nodes = materialise(rows.groupBy("node", "fp", "fp2", "sketch").agg(F.min("doc_id").alias("low")), "near-nodes")
-    found = materialise(connected_components(hamming_links(nodes, ("fp", "fp2"), radius=radius, tree_size=tree_size, similarity=similarity)), "near-components")
+        for batch in (b.slice(i, SLICE_ROWS) for b in batches for i in range(0, b.num_rows, SLICE_ROWS)):
+            words = keys_by_text([t.encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()])
+            prints = [pair_prints(w) for w in words]
+            arrays = [batch.column(0), batch.column(1), pa.array([node_of(w) for w in words], pa.int64()), *(pa.array([x[j] for x in prints], pa.int64()) for j in (0, 1))]
+            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "key", "node", "fp", "fp2"])
+
+    texts = docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text"))
+    keyed = texts.select("doc_id", F.xxhash64("text").alias("key"), "text")
+    rows = materialise(keyed.mapInArrow(run, "doc_id long, key long, node long, fp long, fp2 long"), "near-rows")
+    nodes = materialise(rows.groupBy("node", "fp", "fp2").agg(F.min("doc_id").alias("low"), F.min("key").alias("key")), "near-nodes")
+    loose = None
+    for c in ("fp", "fp2"):
+        prints = materialise(nodes.groupBy(F.col(c).alias("fp")).agg(F.min("node").alias("node")), "near-prints")
+        for part in (star_links(nodes.select("node", F.col(c).alias("key"))), hamming_links(prints, radius=radius, tree_size=tree_size)):
+            loose = part if loose is None else loose.unionByName(part)
+    held = materialise(connected_components(loose), "near-loose").join(nodes.select(F.col("node").alias("m"), "key"), F.col("node") == F.col("m")).select("node", "key", "component")
+    links = exact_links(keyed.select("key", "text"), held, shingle=shingle, similarity=similarity, unit_rows=unit_rows)
+    found = materialise(connected_components(links), "near-components")
     label = nodes.select("node", "low").join(found, "node", "left").select("node", "low", F.coalesce("component", "node").alias("label"))
     lows = label.groupBy("label").agg(F.min("low").alias("component_id"))
     members = label.join(lows, "label").select(F.col("node").alias("n_"), "component_id")

@@ -105,6 +105,33 @@ def test_near_copies_meet_and_others_stay(spark):
     assert {r["doc_id"] for r in simhash.keep_one(df).collect()} == set(got.values())
 
 
+def plain_shingles(text):
+    w = (text or "").lower().split()
+    return {tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))} if w else set()
+
+
+def plain_near(rows, similarity=0.8):
+    sets = {i: plain_shingles(t) for i, t in rows}
+    links = [(a, b) for a in sets for b in sets if a < b and (sets[a] == sets[b] or len(sets[a] & sets[b]) >= similarity * len(sets[a] | sets[b]))]
+    return components(set(sets), links)
+
+
+@pytest.mark.parametrize("unit_rows", [1024, 5])
+def test_near_links_are_exact(spark, unit_rows):
+    rnd = random.Random(8)
+    rows = []
+    for i in range(25):
+        w = [f"w{rnd.randrange(5000)}" for _ in range(300)]
+        for c in range(12):
+            x = list(w)
+            for at in rnd.sample(range(300), rnd.randrange(4, 9)):
+                x[at] = f"new{rnd.randrange(10**6)}"
+            rows.append((100 * i + c, " ".join(x)))
+    rows += [(5000 + i, t) for i, t in enumerate([None, "", "a b", "A  b", "a c"])]
+    found = simhash.near_components(spark.createDataFrame(rows, SCHEMA).repartition(3), unit_rows=unit_rows).collect()
+    assert {r["doc_id"]: r["component_id"] for r in found} == plain_near(rows)
+
+
 def plain_passages(rows, span):
     seen, out = set(), {}
     for d, t in sorted(rows):
