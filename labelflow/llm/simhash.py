@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from .bktree import Forest, Union
 from .common import id_of, materialise, text_of, without_ids
 from .components import connected_components
-from .verify import SLICE_ROWS, exact_links, node_of
+from .verify import SLICE_ROWS, exact_links, node_of, shingles
 from .words import gram_keys, keys_by_text, mix
 
 SHINGLE_SEED = 42
@@ -142,11 +142,28 @@ def simhash_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str
     return fps.join(members, F.col("fp") == F.col("f")).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8, radius: int = 6, tree_size: int = 1024, unit_rows: int = 1024) -> DataFrame:
+def band_keys(keys: np.ndarray, bands: int, rows: int) -> np.ndarray:
+    """A key for each band of ``rows`` least hashes of a set of shingle keys; two sets share one with probability J ** rows."""
+    if not len(keys):
+        return np.empty(0, np.uint64)
+    odd = np.random.default_rng(20240301).integers(0, 1 << 63, bands * rows, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+    low = np.full(bands * rows, np.iinfo(np.uint64).max, np.uint64)
+    step = max(1, (1 << 16) // (bands * rows))
+    for i in range(0, len(keys), step):
+        low = np.minimum(low, mix(keys[i : i + step, None] * odd).min(axis=0))
+    out = np.arange(bands, dtype=np.uint64)
+    for column in low.reshape(bands, rows).T:
+        out = mix(out * np.uint64(3) ^ column)
+    return out
+
+
+def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8, radius: int = 6, bands: int = 24, band_rows: int = 5, tree_size: int = 1024, unit_rows: int = 1024) -> DataFrame:
     """doc_id, component_id (smallest doc_id reachable) for each row, by resemblance of word shingles.
 
-    Loose components join texts within ``radius`` bits in either of two fingerprints of word pairs, and texts of
-    equal ones. Within a loose component all pairs are compared on their full sets of shingles and linked if the similarity is
+    Loose components join texts within ``radius`` bits in either of two fingerprints of word pairs, and texts that
+    share one of ``bands`` keys of ``band_rows`` least hashes of their shingles. The latter alone meet a pair of
+    Jaccard similarity J with probability 1 - (1 - J ** band_rows) ** bands whatever the edit: 0.99993 at 0.8.
+    Within a loose component all pairs are compared on their full sets of shingles and linked if the similarity is
     at least ``similarity``. Texts shorter than a shingle are one shingle; texts without
     words resemble each other only. Nulls, repeated rows and other columns are as in :func:`simhash_components`.
     """
@@ -156,17 +173,18 @@ def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
             words = keys_by_text([t.encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()])
             prints = [pair_prints(w) for w in words]
             arrays = [batch.column(0), batch.column(1), pa.array([node_of(w) for w in words], pa.int64()), *(pa.array([x[j] for x in prints], pa.int64()) for j in (0, 1))]
-            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "key", "node", "fp", "fp2"])
+            arrays.append(pa.array([band_keys(shingles(w, shingle), bands, band_rows).view(np.int64) for w in words], pa.list_(pa.int64())))
+            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "key", "node", "fp", "fp2", "bands"])
 
     texts = docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text"))
     keyed = texts.select("doc_id", F.xxhash64("text").alias("key"), "text")
-    rows = materialise(keyed.mapInArrow(run, "doc_id long, key long, node long, fp long, fp2 long"), "near-rows")
-    nodes = materialise(rows.groupBy("node", "fp", "fp2").agg(F.min("doc_id").alias("low"), F.min("key").alias("key")), "near-nodes")
-    loose = None
+    rows = materialise(keyed.mapInArrow(run, "doc_id long, key long, node long, fp long, fp2 long, bands array<long>"), "near-rows")
+    nodes = materialise(rows.groupBy("node", "fp", "fp2", "bands").agg(F.min("doc_id").alias("low"), F.min("key").alias("key")), "near-nodes")
+    loose = star_links(nodes.select("node", F.explode("bands").alias("key")))
     for c in ("fp", "fp2"):
         prints = materialise(nodes.groupBy(F.col(c).alias("fp")).agg(F.min("node").alias("node")), "near-prints")
         for part in (star_links(nodes.select("node", F.col(c).alias("key"))), hamming_links(prints, radius=radius, tree_size=tree_size)):
-            loose = part if loose is None else loose.unionByName(part)
+            loose = loose.unionByName(part)
     held = materialise(connected_components(loose), "near-loose").join(nodes.select(F.col("node").alias("m"), "key"), F.col("node") == F.col("m")).select("node", "key", "component")
     links = exact_links(keyed.select("key", "text"), held, shingle=shingle, similarity=similarity, unit_rows=unit_rows)
     found = materialise(connected_components(links), "near-components")

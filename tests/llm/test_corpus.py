@@ -132,6 +132,23 @@ def test_near_links_are_exact(spark, unit_rows):
     assert {r["doc_id"]: r["component_id"] for r in found} == plain_near(rows)
 
 
+def test_near_copies_by_block_edits(spark):
+    rnd = random.Random(9)
+    new = lambda n: [f"w{rnd.randrange(10**6)}" for _ in range(n)]
+    rows = []
+    for n in (12, 60, 200, 1000):
+        for _ in range(40):
+            w, k = new(n), max(1, n // 12)
+            for x in (w, w[: n - k], w[: n // 2] + new(k) + w[n // 2 :], w[: n - k // 2 - 1] + new(k // 2 + 1)):
+                rows.append((len(rows), " ".join(x)))
+    line = new(11)
+    rows += [(len(rows) + i, " ".join(line * 60 + new(6))) for i in range(20)]
+    tail = new(120)
+    rows += [(10_000 + i, " ".join(line * 60 + tail[: 118 + i % 3] + new(i % 4))) for i in range(20)]
+    found = simhash.near_components(spark.createDataFrame(rows, SCHEMA)).collect()
+    assert {r["doc_id"]: r["component_id"] for r in found} == plain_near(rows)
+
+
 def plain_passages(rows, span):
     seen, out = set(), {}
     for d, t in sorted(rows):
