@@ -50,6 +50,12 @@ def id_of(name: str) -> Column:
     return F.col(f"`{name}`").cast("long")
 
 
+def with_row_key(docs: DataFrame, *columns: str) -> DataFrame:
+    """``docs`` with ``__row``, a long of these columns: rows that differ in one, null or not, are told apart."""
+    parts = [x for c in columns for x in (F.col(f"`{c}`").isNull(), F.col(f"`{c}`"))]
+    return docs.withColumn("__row", F.xxhash64(*parts))
+
+
 def without_ids(docs: DataFrame, ids: DataFrame, id_col: str, *, broadcast_rows: int = 1_000_000) -> DataFrame:
     """``docs`` but for rows whose id (null included) is in the one column of ``ids``, with all their columns.
 

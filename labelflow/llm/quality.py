@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_of, materialise, text_of, without_ids
+from .common import id_of, materialise, text_of, with_row_key, without_ids
 from .words import NOT_ALNUM, KeyTable, mix, parts_of, word_keys
 
 HEADS = ("low", "toxic")
@@ -264,6 +264,9 @@ def classify(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text
     )
 
 
-def keep_good(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", **options) -> DataFrame:
-    """The rows of ``docs`` that :func:`classify` keeps, with all their columns; rows of one id go together."""
-    return without_ids(docs, classify(docs, labels, id_col=id_col, **options).filter(~F.col("keep")).select("doc_id"), id_col)
+def keep_good(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", host_col: str = "source", path_col: str = "lang", model: Classifier | None = None, threshold: float = 0.5, **fitting) -> DataFrame:
+    """The rows of ``docs`` that :func:`classify` keeps, with all their columns; rows of one id are judged on their own."""
+    model = model or fit(docs, labels, id_col=id_col, text_col=text_col, **fitting)
+    rows = with_row_key(docs, id_col, text_col, host_col, path_col)
+    judged = classify(rows, labels, id_col="__row", text_col=text_col, host_col=host_col, path_col=path_col, threshold=threshold, model=model)
+    return without_ids(rows, judged.filter(~F.col("keep")).select("doc_id"), "__row").drop("__row")

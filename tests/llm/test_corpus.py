@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 import corpus_pipeline
 from conftest import SF
-from labelflow.llm import passages, pfp, quality, simhash
+from labelflow.llm import decontam, passages, pfp, quality, simhash
 from labelflow.llm.bktree import Forest
 from labelflow.llm.components import connected_components
 
@@ -149,6 +149,18 @@ def test_near_copies_by_block_edits(spark):
     assert {r["doc_id"]: r["component_id"] for r in found} == plain_near(rows)
 
 
+def test_rows_of_one_id_are_judged_on_their_own(spark):
+    rnd = random.Random(10)
+    texts = [" ".join(f"w{rnd.randrange(10**6)}" for _ in range(40)) for _ in range(4)]
+    rows = [(5, texts[0]), (None, texts[0] + " tail"), (None, texts[1]), (7, texts[2]), (7, texts[3]), (7, texts[3])]
+    df = spark.createDataFrame(rows, SCHEMA).withColumns({"source": F.lit("s"), "lang": F.lit("l")})
+    key = lambda r: (r["doc_id"] or -1, r["text"])
+    kept = sorted(map(key, simhash.keep_one(df).collect()))
+    assert kept == sorted((i or -1, t) for i, t in rows if t != rows[1][1])
+    bench = spark.createDataFrame([(1, texts[2])], "item_id long, text string")
+    assert sorted(map(key, decontam.drop_leaks(df, bench).collect())) == sorted((i or -1, t) for i, t in rows if t != texts[2])
+
+
 def plain_passages(rows, span):
     seen, out = set(), {}
     for d, t in sorted(rows):
