@@ -15,7 +15,7 @@ import base64
 import hashlib
 import os
 import re
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from itertools import islice
 
 import pyarrow as pa
@@ -24,7 +24,7 @@ from pyspark import SparkFiles
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_of, text_of
+from .common import id_of, slices, text_of
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 #: Distinct pieces whose ids a worker keeps; about 100 bytes each.
@@ -112,8 +112,8 @@ class ByteBPE:
                 pass
         return self.split_any(text)
 
-    def ids(self, text: str) -> list[int]:
-        """The ids of a text."""
+    def ids(self, text: str) -> array.array:
+        """The ids of a text, 4 bytes each."""
         pieces, cache, out = self.split(text), self.cache, array.array("I")
         try:
             out.frombytes(b"".join(map(cache.__getitem__, pieces)))
@@ -125,12 +125,12 @@ class ByteBPE:
             found = self.model.encode_batch_fast([self.named(p.encode()) for p in new], add_special_tokens=False)
             cache.update(zip(new, (array.array("I", x.ids).tobytes() for x in found)))
             out.frombytes(b"".join(map(cache.__getitem__, pieces)))
-        return out.tolist()
+        return out
 
-    def decode(self, ids: list[int]) -> bytes:
+    def decode(self, ids: Iterable[int]) -> bytes:
         return b"".join(map(self.strings.__getitem__, ids))
 
-    def byte_offsets(self, ids: list[int]) -> list[int]:
+    def byte_offsets(self, ids: Iterable[int]) -> list[int]:
         """Where each token ends, in bytes."""
         ends, at = [], 0
         for i in ids:
@@ -138,7 +138,7 @@ class ByteBPE:
             ends.append(at)
         return ends
 
-    def char_offsets(self, text: str, ids: list[int]) -> list[tuple[int, int]]:
+    def char_offsets(self, text: str, ids: Iterable[int]) -> list[tuple[int, int]]:
         """The span of characters that each token touches."""
         owner = [k for k, c in enumerate(text) for _ in c.encode()]
         spans, at = [], 0
@@ -159,12 +159,28 @@ def codec(path: str, pattern: str) -> ByteBPE:
     return _LOADED[path, pattern]
 
 
+class _Lists:
+    """Lists of 4-byte integers as one buffer of values and one of offsets."""
+
+    def __init__(self):
+        self.values, self.offsets = array.array("i"), array.array("i", [0])
+
+    def add(self, items: array.array) -> None:
+        self.values.frombytes(items.tobytes())
+        self.offsets.append(len(self.values))
+
+    def column(self) -> pa.Array:
+        values, offsets = (pa.Array.from_buffers(pa.int32(), len(a), [None, pa.py_buffer(a.tobytes())]) for a in (self.values, self.offsets))
+        return pa.ListArray.from_arrays(offsets, values)
+
+
 def encode_decode(docs: DataFrame, rank_path: str, pattern: str, *, id_col: str = "doc_id", text_col: str = "text", with_ids: bool = False, with_offsets: bool = False) -> DataFrame:
     """doc_id, n_tokens, ids_sha256, decoded_sha256, round_trip for each row; ids and char_starts, char_ends on request.
 
     Each match of the pattern is encoded on its own and no special token is added. Null texts count as empty: no
     tokens, the digests of the empty string. Rows are independent, so repeated rows repeat and an empty table gives
-    an empty result; texts are encoded whole. ``rank_path`` is a file that each worker can open (or one shipped by
+    an empty result; texts are encoded whole, and a worker holds the ids of about 1 MB of text (or of one longer
+    text) at a time. ``rank_path`` is a file that each worker can open (or one shipped by
     ``addFile``).
     """
     schema = "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, round_trip boolean"
@@ -172,29 +188,30 @@ def encode_decode(docs: DataFrame, rank_path: str, pattern: str, *, id_col: str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe, sha = codec(rank_path, pattern), hashlib.sha256
-        for batch in batches:
-            out: dict[str, list] = {name: [] for name in ("n", "i", "d", "r", "ids", "s", "e")}
+        for batch in (part for whole in batches for part in slices(whole, 1)):
+            n, hashes, back_hashes, equal = [], [], [], []
+            ids, starts, ends = _Lists(), _Lists(), _Lists()
             for x in batch.column(1):
                 text = x.as_py()
-                ids = bpe.ids(text)
-                back, raw = bpe.decode(ids), text.encode()
-                out["n"].append(len(ids))
-                out["i"].append(sha(" ".join(map(bpe.decimal.__getitem__, ids)).encode()).hexdigest())
-                out["d"].append(sha(back).hexdigest())
-                out["r"].append(back == raw)
+                found = bpe.ids(text)
+                back, raw = bpe.decode(found), text.encode()
+                n.append(len(found))
+                hashes.append(sha(" ".join(map(bpe.decimal.__getitem__, found)).encode()).hexdigest())
+                back_hashes.append(sha(back).hexdigest())
+                equal.append(back == raw)
                 if with_ids:
-                    out["ids"].append(ids)
+                    ids.add(found)
                 if with_offsets:
-                    spans = bpe.char_offsets(text, ids)
-                    out["s"].append([a for a, _ in spans])
-                    out["e"].append([b for _, b in spans])
-            arrays = [batch.column(0), pa.array(out["n"], pa.int64()), pa.array(out["i"], pa.string()), pa.array(out["d"], pa.string()), pa.array(out["r"], pa.bool_())]
+                    spans = bpe.char_offsets(text, found)
+                    starts.add(array.array("i", (a for a, _ in spans)))
+                    ends.add(array.array("i", (b for _, b in spans)))
+            arrays = [batch.column(0), pa.array(n, pa.int64()), pa.array(hashes, pa.string()), pa.array(back_hashes, pa.string()), pa.array(equal, pa.bool_())]
             names = ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "round_trip"]
             if with_ids:
-                arrays.append(pa.array(out["ids"], pa.list_(pa.int32())))
+                arrays.append(ids.column())
                 names.append("ids")
             if with_offsets:
-                arrays += [pa.array(out["s"], pa.list_(pa.int32())), pa.array(out["e"], pa.list_(pa.int32()))]
+                arrays += [starts.column(), ends.column()]
                 names += ["char_starts", "char_ends"]
             yield pa.RecordBatch.from_arrays(arrays, names=names)
 
@@ -211,7 +228,7 @@ def decode_ids(rows: DataFrame, rank_path: str, pattern: str, *, id_col: str = "
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bpe = codec(rank_path, pattern)
-        for batch in batches:
+        for batch in (whole.slice(i, 200) for whole in batches for i in range(0, whole.num_rows, 200)):
             raw = [bpe.decode(x) for x in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(raw, pa.binary()), pa.array([b.decode("utf-8", "replace") for b in raw], pa.string())], names=["doc_id", "bytes", "text"])
 

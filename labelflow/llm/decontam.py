@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import id_of, text_of, with_row_key, without_ids
+from .common import id_of, slices, text_of, with_row_key, without_ids
 from .words import NOT_ALNUM, KeyTable, gram_keys, keys_by_text, mix
 
 #: Most words of benchmark items that are sent to workers at once; larger sets go in several blocks of items.
@@ -157,7 +157,7 @@ class Benchmark:
                 hit |= np.take_along_axis(same[walk], at, axis=1).all(axis=1)
             if hit.mean() >= self.recall:
                 return t + 1
-        return 4096
+        raise ValueError(f"{self.recall} of the simulated edits aren't met by 4096 tables a walk: take fewer bits, more walks or a higher similarity")
 
     def find(self, texts: list[str]) -> list[tuple[int, int, int, int, int]]:
         """(text, item, distance, from, to) in words, the best place of each item in each text that reaches the threshold."""
@@ -269,18 +269,15 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
         bench = Benchmark(list(range(len(ids))), text_words(texts), similarity, recall)
 
         def run(batches: Iterator[pa.RecordBatch], bench=bench, ids=ids) -> Iterator[pa.RecordBatch]:
-            for batch in batches:
-                texts = batch.column(1).to_pylist()
-                of = batch.column(0).to_pylist()
-                for i in range(0, len(texts), 2000):
-                    found = bench.find(texts[i : i + 2000])
-                    n = [len(bench.words[k]) for _, k, *_ in found]
-                    columns = [
-                        pa.array([of[i + d] for d, *_ in found], pa.int64()), pa.array([ids[bench.ids[k]] for _, k, *_ in found], pa.int64()),
-                        pa.array([x[2] for x in found], pa.int64()), pa.array([1 - x[2] / m for x, m in zip(found, n)], pa.float64()),
-                        pa.array([x[3] for x in found], pa.int64()), pa.array([x[4] for x in found], pa.int64()),
-                    ]
-                    yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "item_id", "distance", "similarity", "start_word", "end_word"])
+            for batch in (part for whole in batches for part in slices(whole, 1, 4 << 20)):
+                of, found = batch.column(0).to_pylist(), bench.find(batch.column(1).to_pylist())
+                n = [len(bench.words[k]) for _, k, *_ in found]
+                columns = [
+                    pa.array([of[d] for d, *_ in found], pa.int64()), pa.array([ids[bench.ids[k]] for _, k, *_ in found], pa.int64()),
+                    pa.array([x[2] for x in found], pa.int64()), pa.array([1 - x[2] / m for x, m in zip(found, n)], pa.float64()),
+                    pa.array([x[3] for x in found], pa.int64()), pa.array([x[4] for x in found], pa.int64()),
+                ]
+                yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "item_id", "distance", "similarity", "start_word", "end_word"])
 
         part = rows.mapInArrow(run, "doc_id long, item_id long, distance long, similarity double, start_word long, end_word long")
         out = part if out is None else out.unionByName(part)

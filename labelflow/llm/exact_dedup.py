@@ -7,7 +7,8 @@
    ``salts`` parts by the document's id.
 3. *Global merge*: the few salt winners of hot digests are combined by (digest, whole text).
 
-Texts are grouping keys at each stage, so the whole content is compared; the digest only places rows.
+Texts are grouping keys at each stage, so the whole content is compared; the digest only places rows. Before it also
+names the text of a row in the last join, the merged table is searched for a digest with two texts (an error).
 At most 1024 digests can be hot, hence the broadcast of their list has a fixed bound, and the texts of the
 corpus cross the network once.
 """
@@ -45,6 +46,9 @@ def exact_dedup(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     merged = salted(rows).groupBy("digest", "salt", "body").agg(F.min("doc_id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"))
     merged = materialise(merged.withColumn("body", F.when(F.col("salt") >= 0, F.col("body"))), "exact-merged")
+    # texts were compared whole; a digest stands for one text from here on
+    if merged.groupBy("digest", "salt").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").limit(1).count():
+        raise ValueError("different texts share a SHA-256 digest")
     parts = merged.filter("salt >= 0")
     whole = parts.groupBy("digest", "body").agg(F.min("keep_id").alias("keep_id"), F.sum("group_size").alias("group_size"))
     winners = (

@@ -7,10 +7,12 @@ the longer one are excluded; at last, all symbols that are still possible are eq
 mark, so scores are log-probabilities of texts.
 
 A pretrained trie makes the code length of a symbol a function of its gram (context and symbol), so a corpus is
-trained by counting grams and scored by looking grams up: both run over arrays. Counts are summed by Spark and
-written to the shared folder. A table of at most ``broadcast_rows`` grams (or words) is sent to the workers; beyond
-that, grams and words of documents are joined with it instead. ``ByteTrie`` is the plain form, which also learns
-while it codes (adaptive code length).
+trained by counting grams and scored by looking grams up. The most frequent grams and words, a fixed number whatever
+the corpus, are sent to the workers with their costs and price nearly all of a text where it is read. What a text has
+of the others is written as rows (text, gram, times), which are joined with the rest of the model; grams that were
+never learnt are priced by escapes, order by order, in joins over the counts. A gram or word outside the head is
+rare, so no key of these joins is hot. That is one path at every size. ``ByteTrie`` is the plain form, which also
+learns while it codes (adaptive code length).
 """
 
 from __future__ import annotations
@@ -21,17 +23,22 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_of, materialise, text_of
-from .words import KeyTable, Part, parts_of, word_keys
+from .common import id_of, materialise, slices, text_of
+from .words import KeyTable, Part, parts_of
 
 SYMBOLS = 257
 MARK = 256
 _BITS = 9
-_END_WORD = np.uint64(0x9E3779B97F4A7C15)
-BROADCAST_ROWS = 6_000_000
+#: The token at the end of a text; no word is empty.
+_END = b""
+#: Grams and words that are sent to all workers at most: about 16 bytes each gram, 40 each word.
+HEAD_GRAMS, HEAD_WORDS = 1 << 20, 1 << 18
+#: Distinct grams or words that a task counts before it passes them on.
+_HELD = 2_000_000
 
 
 class ByteTrie:
@@ -79,67 +86,6 @@ class ByteTrie:
         return total
 
 
-class FrozenTrie:
-    """A trained trie as arrays: for each order, its contexts with T, q and the mass that they exclude one order below."""
-
-    def __init__(self, grams: np.ndarray, counts: np.ndarray, order: int):
-        self.order = order
-        self.levels = []
-        grams, counts = np.asarray(grams, np.uint64), np.asarray(counts, np.int64)
-        above = None
-        for k in range(order, -1, -1):
-            keep = np.uint64((1 << _BITS * (k + 1)) - 1)
-            keys, where = np.unique(grams & keep, return_inverse=True)
-            n = np.bincount(where, counts, len(keys))
-            contexts, of = np.unique(keys >> np.uint64(_BITS), return_inverse=True)
-            level = {"n": n, "of": of, "T": np.bincount(of, n, len(contexts)), "q": np.bincount(of, minlength=len(contexts)), "grams": KeyTable(keys), "contexts": KeyTable(contexts)}
-            level["E"] = np.zeros(len(contexts))
-            if above is not None:
-                upper, upper_keys = above
-                below = n[np.searchsorted(keys, upper_keys & keep)]
-                upper["E"] = np.bincount(upper["of"], below, len(upper["T"]))
-            self.levels.append(level)
-            above = (level, keys)
-        top = self.levels[0]
-        self.seen_cost = np.log10(top["n"] / (top["T"] + top["q"])[top["of"]]) if len(top["n"]) else np.zeros(0)
-
-    def cost(self, grams: np.ndarray) -> np.ndarray:
-        """log10 probability of the last symbol of each gram."""
-        row = self.levels[0]["grams"].find(grams)
-        out = np.zeros(len(grams))
-        seen = row >= 0
-        out[seen] = self.seen_cost[row[seen]]
-        rare = np.flatnonzero(~seen)
-        if len(rare):
-            new, back = np.unique(grams[rare], return_inverse=True)
-            out[rare] = self._escaped(new)[back]
-        return out
-
-    def _escaped(self, grams: np.ndarray) -> np.ndarray:
-        cost, todo = np.zeros(len(grams)), np.arange(len(grams))
-        mass, kinds = np.zeros(len(grams)), np.zeros(len(grams))  # excluded at the order in hand
-        for level, k in zip(self.levels, range(self.order, -1, -1)):
-            g = grams[todo] & np.uint64((1 << _BITS * (k + 1)) - 1)
-            context = level["contexts"].find(g >> np.uint64(_BITS))
-            row = level["grams"].find(g)
-            known = context >= 0
-            at = context.clip(0)
-            if not len(level["T"]):
-                continue
-            total = np.where(known, level["T"][at] - mass[todo], 0)
-            distinct = np.where(known, level["q"][at] - kinds[todo], 0)
-            whole = np.where(distinct > 0, total + distinct, 1)
-            hit = row >= 0
-            cost[todo[hit]] += np.log10(level["n"][row[hit]] / whole[hit])
-            go = ~hit
-            escape = np.where(distinct > 0, distinct, 1) / whole
-            cost[todo[go]] += np.log10(escape[go])
-            mass[todo], kinds[todo] = np.where(known, level["E"][at], 0), np.where(known, level["q"][at], 0)
-            todo = todo[go]
-        cost[todo] -= np.log10(np.maximum(SYMBOLS - kinds[todo], 1))
-        return cost
-
-
 def grams_of(texts: list[bytes], part: list[Part], order: int) -> tuple[np.ndarray, np.ndarray]:
     """The gram at each symbol of these parts, and where each part begins among them."""
     blocks, marks, starts, size, n = [], [], [], 0, 0
@@ -168,162 +114,207 @@ def grams_of(texts: list[bytes], part: list[Part], order: int) -> tuple[np.ndarr
     return gram[valid], np.array(starts)
 
 
-def _summed(keys: list[np.ndarray], counts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
-    k, where = np.unique(np.concatenate(keys), return_inverse=True)
-    return k, np.bincount(where, np.concatenate(counts), len(k)).astype(np.int64)
-
-
 def held_out(id_column: Column) -> Column:
     """True for the fold that is not learnt from; null ids count as the empty text."""
     return F.pmod(F.crc32(F.coalesce(id_column.cast("string"), F.lit("")).cast("binary")), F.lit(7)) == 2
 
 
+def _words(text: bytes) -> Iterator[list[bytes]]:
+    """The words of a text, a slice at a time."""
+    for part in parts_of([text]):
+        for _, a, b in part:
+            yield text[a:b].lower().split()
+
+
 def count_table(texts: DataFrame, order: int) -> DataFrame:
-    """kind ('g' grams, 'w' words), key, n over the column ``text``, summed in each task first."""
+    """gram or word (the other is null) and n over the column ``text``, summed in each task first."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: dict[str, tuple[list, list]] = {"g": ([], []), "w": ([], [])}
-
-        def flush(least: int):
-            for kind, (keys, counts) in held.items():
-                if keys and sum(map(len, keys)) > least:
-                    k, n = _summed(keys, counts)
-                    held[kind] = ([k], [n])
-
-        def out():
-            for kind, (keys, counts) in held.items():
-                for k, n in zip(keys, counts):
-                    for i in range(0, len(k), 1 << 18):
-                        part = k[i : i + (1 << 18)].view(np.int64)
-                        yield pa.RecordBatch.from_arrays([pa.array([kind] * len(part), pa.string()), pa.array(part), pa.array(n[i : i + (1 << 18)])], names=["kind", "key", "n"])
-                held[kind] = ([], [])
-
-        for batch in batches:
-            texts = [x.encode("utf-8", "surrogatepass") for x in batch.column(0).to_pylist()]
-            for part in parts_of(texts):
-                for kind, keys in (("g", grams_of(texts, part, order)[0]), ("w", word_keys(texts, part)[0])):
-                    k, n = np.unique(keys, return_counts=True)
-                    held[kind][0].append(k)
-                    held[kind][1].append(n)
-                flush(2_000_000)
-                if sum(len(k) for keys, _ in held.values() for k in keys) > 8_000_000:
-                    yield from out()
-            held["w"][0].append(np.array([_END_WORD]))
-            held["w"][1].append(np.array([len(texts)]))
-        flush(0)
-        yield from out()
-
-    counted = texts.select("text").mapInArrow(run, "kind string, key long, n long")
-    return counted.groupBy("kind", "key").agg(F.sum("n").alias("n"))
-
-
-def _collected(table: DataFrame, kind: str) -> tuple[np.ndarray, np.ndarray]:
-    """A table of checked size as arrays."""
-    found = table.filter(F.col("kind") == kind).select("key", "n").toArrow()
-    return found.column("key").to_numpy().view(np.uint64), found.column("n").to_numpy()
-
-
-def ppm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", order: int = 4, broadcast_rows: int = BROADCAST_ROWS) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for each row.
-
-    The trie and the word counts are learnt from all rows that :func:`held_out` doesn't name, and score all rows.
-    Null texts count as empty: one token, the end, and the code length of the end mark. Repeated rows repeat (and
-    count in training as often). With nothing to learn from, base scores are 0 and symbols equally likely. Words are
-    told apart by a 64-bit key. Other columns are ignored.
+        grams: list[tuple[np.ndarray, np.ndarray]] = []
+        words: Counter = Counter()
+
+        def merged() -> tuple[np.ndarray, np.ndarray]:
+            keys, where = np.unique(np.concatenate([k for k, _ in grams]), return_inverse=True)
+            return keys, np.bincount(where, np.concatenate([n for _, n in grams]), len(keys)).astype(np.int64)
+
+        def told_grams() -> Iterator[pa.RecordBatch]:
+            keys, n = merged()
+            grams.clear()
+            for i in range(0, len(keys), 1 << 17):
+                part = keys[i : i + (1 << 17)].view(np.int64)
+                yield pa.RecordBatch.from_arrays([pa.array(part), pa.nulls(len(part), pa.binary()), pa.array(n[i : i + (1 << 17)])], names=["gram", "word", "n"])
+
+        def told_words() -> Iterator[pa.RecordBatch]:
+            while words:
+                part = [words.popitem() for _ in range(min(len(words), 1 << 16))]
+                yield pa.RecordBatch.from_arrays([pa.nulls(len(part), pa.int64()), pa.array([w for w, _ in part], pa.binary()), pa.array([n for _, n in part], pa.int64())], names=["gram", "word", "n"])
+
+        for batch in (part for whole in batches for part in slices(whole, 0)):
+            found = [x.encode("utf-8", "surrogatepass") for x in batch.column(0).to_pylist()]
+            for part in parts_of(found):
+                grams.append(np.unique(grams_of(found, part, order)[0], return_counts=True))
+                if len(grams) > 32:
+                    grams[:] = [merged()]
+                    if len(grams[0][0]) > _HELD:
+                        yield from told_grams()
+            for t in found:
+                for part in _words(t):
+                    words.update(part)
+                if len(words) > _HELD:
+                    yield from told_words()
+            words[_END] += len(found)
+        if grams:
+            yield from told_grams()
+        yield from told_words()
+
+    counted = texts.select("text").mapInArrow(run, "gram long, word binary, n long")
+    return counted.groupBy("gram", "word").agg(F.sum("n").alias("n"))
+
+
+def _head(table: DataFrame, most: int) -> Column:
+    """A condition on ``n`` that at most ``most`` rows meet, the most frequent: by quarters of powers of two."""
+    quarter = F.floor(F.log2("n") * 4)
+    sizes = sorted(((r["q"], r["count"]) for r in table.groupBy(quarter.alias("q")).count().collect()), reverse=True)  # at most 256 rows
+    least, held = 1 << 20, 0
+    for q, rows in sizes:
+        if held + rows > most:
+            break
+        least, held = q, held + rows
+    return quarter >= least
+
+
+def _cut(k: int, of: str = "gram") -> Column:
+    return F.col(of).bitwiseAND(F.lit((1 << _BITS * (k + 1)) - 1))
+
+
+def seen_costs(grams: DataFrame) -> DataFrame:
+    """gram, n, cost (log10 probability of its last symbol) for the learnt grams (gram, n)."""
+    contexts = grams.groupBy(F.shiftrightunsigned("gram", _BITS).alias("x")).agg((F.sum("n") + F.count(F.lit(1))).alias("whole"))
+    return grams.join(contexts, F.shiftrightunsigned("gram", _BITS) == F.col("x")).select("gram", "n", F.log10(F.col("n") / F.col("whole")).alias("cost"))
+
+
+def escaped_costs(asked: DataFrame, grams: DataFrame, order: int) -> DataFrame:
+    """gram, cost for distinct grams that were never learnt; ``grams`` has the learnt ones (gram, n).
+
+    Orders 0 and 1 and the contexts up to order 2 are broadcast: they have at most 257 ** 2 rows whatever the corpus.
+    In the other joins a key has at most 257 ** 3 rows on either side.
     """
-    rows = docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text")).withColumn("held_out", held_out(F.col("doc_id")))
-    table = materialise(count_table(rows.filter(~F.col("held_out")), order), "ppm-counts")
-    size = {r["kind"]: r for r in table.groupBy("kind").agg(F.count(F.lit(1)).alias("rows"), F.sum("n").alias("n")).collect()}
-    n_grams, n_words = (size[k]["rows"] if k in size else 0 for k in "gw")
-    train = size["w"]["n"] if "w" in size else 0
-    if max(n_grams, n_words) > broadcast_rows:
-        return _joined_scores(rows, table, order, train, n_words)
-    spark = docs.sparkSession
-    grams, words = _collected(table, "g"), _collected(table, "w")
-    sent = spark.sparkContext.broadcast((grams, words))
-    base = math.log10(train + n_words + 1)
+    levels = {order: grams.select(F.col("gram").alias("g"), F.col("n").alias("c"))}
+    for k in range(order - 1, -1, -1):
+        levels[k] = materialise(levels[k + 1].groupBy(_cut(k, "g").alias("g")).agg(F.sum("c").alias("c")), "ppm-level")
+
+    def small(df: DataFrame, rows: int) -> DataFrame:
+        return F.broadcast(df) if rows <= SYMBOLS**2 else df
+
+    todo = asked.select("gram", F.lit(0.0).alias("cost"), F.lit(0).cast("long").alias("mass"), F.lit(0).cast("long").alias("kinds"))
+    priced = None
+    for k in range(order, -1, -1):
+        own = levels[k].withColumn("x", F.shiftrightunsigned("g", _BITS))
+        if k:  # what the symbols of a context weigh one order below
+            below = small(levels[k - 1].select(F.col("g").alias("h"), F.col("c").alias("b")), SYMBOLS**k)
+            whole = own.join(below, _cut(k - 1, "g") == F.col("h"))
+        else:
+            whole = own.withColumn("b", F.lit(0).cast("long"))
+        contexts = whole.groupBy(F.col("x").alias("y")).agg(F.sum("c").alias("T"), F.count(F.lit(1)).alias("q"), F.sum("b").alias("E"))
+        counts = small(levels[k].withColumnRenamed("g", "g_"), SYMBOLS ** (k + 1))
+        met = todo.withColumn("at", _cut(k)).join(counts, F.col("at") == F.col("g_"), "left").withColumn("x", F.shiftrightunsigned("at", _BITS))
+        met = met.join(small(contexts, SYMBOLS**k), F.col("x") == F.col("y"), "left")
+        kinds = F.col("q") - F.col("kinds")
+        total = F.col("T") - F.col("mass") + kinds
+        found = F.col("c").isNotNull()
+        price = F.when(found, F.log10(F.col("c") / total)).when(kinds > 0, F.log10(kinds / total)).otherwise(0.0)
+        met = met.select("gram", (F.col("cost") + price).alias("cost"), F.coalesce("E", F.lit(0)).cast("long").alias("mass"), F.coalesce("q", F.lit(0)).cast("long").alias("kinds"), found.alias("done"))
+        met = materialise(met, "ppm-escapes")
+        ended = met.filter("done").select("gram", "cost")
+        priced = ended if priced is None else priced.unionByName(ended)
+        todo = met.filter("not done")
+    never = todo.select("gram", (F.col("cost") - F.log10(F.greatest(F.lit(SYMBOLS) - F.col("kinds"), F.lit(1)).cast("double"))).alias("cost"))
+    return priced.unionByName(never)
+
+
+_PART = pa.schema([("row", pa.int64()), ("doc_id", pa.int64()), ("held_out", pa.bool_()), ("n_tokens", pa.int64()), ("n_known", pa.int64()), ("log", pa.float64()), ("score", pa.float64()), ("gram", pa.int64()), ("word", pa.binary()), ("times", pa.int64())])
+
+
+def _part(rows: int, **columns) -> pa.RecordBatch:
+    """A batch of partial results: the columns given, the others null."""
+    return pa.RecordBatch.from_arrays([pa.array(columns[f.name], f.type) if f.name in columns else pa.nulls(rows, f.type) for f in _PART], schema=_PART)
+
+
+def _priced_by_head(order: int, sent):
+    """Rows of texts with what the head prices, and rows (row, gram or word, times) for what it doesn't."""
     model: dict = {}
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         if not model:
-            (g, n), (w, c) = sent.value
-            model.update(trie=FrozenTrie(g, n, order), words=KeyTable(w), log=np.log10(c + 1.0))
-        trie, known, log = model["trie"], model["words"], model["log"]
-        end = known.find(np.array([_END_WORD]))[0]
-        for batch in batches:
-            texts = [x.encode("utf-8", "surrogatepass") for x in batch.column(1).to_pylist()]
-            score, tokens, seen, unigram = np.zeros(len(texts)), np.ones(len(texts), np.int64), np.full(len(texts), int(end >= 0)), np.full(len(texts), log[end] if end >= 0 else 0.0)
-            for part in parts_of(texts):
-                owner = np.array([i for i, _, _ in part])
-                keys, starts = grams_of(texts, part, order)
-                cost = np.append(trie.cost(keys), 0)
-                np.add.at(score, owner, np.where(np.diff(np.append(starts, len(keys))) > 0, np.add.reduceat(cost, starts), 0))
-                keys, counts = word_keys(texts, part)
-                row, of = known.find(keys), np.repeat(owner, counts)
-                tokens += np.bincount(of, minlength=len(texts))
-                seen += np.bincount(of, row >= 0, len(texts)).astype(np.int64)
-                unigram += np.bincount(of, np.where(row >= 0, log[row] if len(log) else 0, 0), len(texts))
-            arrays = [batch.column(0), batch.column(2), pa.array(tokens), pa.array(seen), pa.array(np.full(len(texts), train)), pa.array(unigram - tokens * base), pa.array(score)]
-            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
-
-    return rows.select("doc_id", "text", "held_out").mapInArrow(run, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
-
-
-def _joined_scores(rows: DataFrame, table: DataFrame, order: int, train: int, n_words: int) -> DataFrame:
-    """As :func:`ppm_scores`, for tables too large to send: grams and words of rows are joined with them."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
-
+            grams, costs, words, counts = sent.value
+            model.update(grams=KeyTable(grams), costs=np.append(costs, 0.0), words=dict(zip(words, counts)))
+        find, costs, known = model["grams"].find, model["costs"], model["words"]
         row = TaskContext.get().partitionId() << 33
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole, 1)):
             texts = [x.encode("utf-8", "surrogatepass") for x in batch.column(1).to_pylist()]
-            ids, held = batch.column(0).to_pylist(), batch.column(2).to_pylist()
-            for part in parts_of(texts):
-                for i, a, b in part:
-                    words = word_keys(texts, [(i, a, b)])[0]
-                    if a == 0:
-                        words = np.append(words, _END_WORD)
-                    for kind, keys in (("g", grams_of(texts, [(i, a, b)], order)[0]), ("w", words)):
-                        k, n = np.unique(keys, return_counts=True)
-                        size = len(k)
-                        yield pa.RecordBatch.from_arrays([pa.array([row + i] * size, pa.int64()), pa.array([ids[i]] * size, pa.int64()), pa.array([held[i]] * size, pa.bool_()), pa.array([kind] * size, pa.string()), pa.array(k.view(np.int64)), pa.array(n, pa.int64())], names=["row", "doc_id", "held_out", "kind", "key", "m"])
+            score, log, tokens, met = np.zeros(len(texts)), np.zeros(len(texts)), np.zeros(len(texts), np.int64), np.zeros(len(texts), np.int64)
+            for pieces in parts_of(texts):
+                keys, starts = grams_of(texts, pieces, order)
+                at = find(keys)
+                owner = np.array([i for i, _, _ in pieces])
+                size = np.diff(np.append(starts, len(keys)))
+                np.add.at(score, owner, np.where(size > 0, np.add.reduceat(np.append(costs[at], 0), starts), 0))
+                rare = np.flatnonzero(at < 0)
+                if len(rare):
+                    of, rare = owner[np.searchsorted(starts, rare, "right") - 1], keys[rare]
+                    order_ = np.lexsort((rare, of))
+                    of, rare = of[order_], rare[order_]
+                    new = np.flatnonzero(np.append(True, (np.diff(of) != 0) | (rare[1:] != rare[:-1])))
+                    yield _part(len(new), row=row + of[new], gram=rare[new].view(np.int64), times=np.diff(np.append(new, len(of))))
+            others: list[tuple[int, bytes, int]] = []
+            for i, t in enumerate(texts):
+                left: Counter = Counter()
+                for found in (*_words(t), [_END]):
+                    c = np.array([known.get(w, -1) for w in found], np.int64)
+                    tokens[i] += len(c)
+                    met[i] += (c > 0).sum()
+                    log[i] += np.log10(np.maximum(c, 0) + 1).sum()
+                    left.update(found[k] for k in np.flatnonzero(c < 0).tolist())
+                others += [(row + i, w, n) for w, n in left.items()]
+            if others:
+                yield _part(len(others), row=[r for r, _, _ in others], word=[w for _, w, _ in others], times=[n for _, _, n in others])
+            yield _part(len(texts), row=np.arange(row, row + len(texts)), doc_id=batch.column(0), held_out=batch.column(2), n_tokens=tokens, n_known=met, log=log, score=score)
             row += len(texts)
 
-    parts = materialise(rows.select("doc_id", "text", "held_out").mapInArrow(run, "row long, doc_id long, held_out boolean, kind string, key long, m long"), "ppm-parts")
-    words = table.filter("kind = 'w'").select("key", F.col("n").alias("c"))
-    unigram = (
-        parts.filter("kind = 'w'").join(words, "key", "left").groupBy("row", "doc_id", "held_out")
-        .agg(F.sum("m").alias("n_tokens"), F.sum(F.when(F.col("c").isNotNull(), F.col("m")).otherwise(0)).alias("n_known"), F.sum(F.col("m") * F.log10(F.coalesce("c", F.lit(0)) + 1.0)).alias("log"))
+    return run
+
+
+def ppm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", order: int = 4, head_grams: int = HEAD_GRAMS, head_words: int = HEAD_WORDS) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for each row.
+
+    The trie and the word counts are learnt from all rows that :func:`held_out` doesn't name, and score all rows.
+    Null texts count as empty: one token, the end, and the code length of the end mark. Null ids count as the empty
+    string in the fold; repeated rows repeat (and count in training as often). With nothing to learn from, base scores
+    are 0 and symbols equally likely. Other columns are ignored; an empty table gives an empty result. The sizes of the
+    heads change what is shuffled, not the result.
+    """
+    rows = docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text")).withColumn("held_out", held_out(F.col("doc_id")))
+    table = materialise(count_table(rows.filter(~F.col("held_out")), order), "ppm-counts")
+    grams, words = table.filter("gram is not null").select("gram", "n"), table.filter("word is not null").select("word", "n")
+    seen = materialise(seen_costs(grams), "ppm-seen")
+    whole = words.agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).first()
+    train, base = whole["n"] or 0, math.log10((whole["n"] or 0) + whole["v"] + 1)
+    common, often = seen.filter(_head(seen, head_grams)).toArrow(), words.filter(_head(words, head_words)).toArrow()  # of fixed size at most
+    sent = docs.sparkSession.sparkContext.broadcast((common["gram"].to_numpy().view(np.uint64), common["cost"].to_numpy(), often["word"].to_pylist(), often["n"].to_pylist()))
+    schema = "row long, doc_id long, held_out boolean, n_tokens long, n_known long, log double, score double, gram long, word binary, times long"
+    parts = materialise(rows.select("doc_id", "text", "held_out").mapInArrow(_priced_by_head(order, sent), schema), "ppm-parts")
+    rare = parts.filter("gram is not null").select("row", "gram", "times")
+    asked = materialise(rare.select("gram").distinct().join(seen.select(F.col("gram").alias("k_"), "cost"), F.col("gram") == F.col("k_"), "left").select("gram", "cost"), "ppm-asked")
+    costs = asked.filter("cost is not null").unionByName(escaped_costs(asked.filter("cost is null"), grams, order))
+    costs = costs.select(F.col("gram").alias("k_"), "cost")
+    by_gram = rare.join(costs, F.col("gram") == F.col("k_")).groupBy(F.col("row").alias("r1")).agg(F.sum(F.col("times") * F.col("cost")).alias("more"))
+    counts = words.select(F.col("word").alias("k_"), "n")
+    by_word = parts.filter("word is not null").select("row", "word", "times").join(counts, F.col("word") == F.col("k_"))
+    by_word = by_word.groupBy(F.col("row").alias("r2")).agg(F.sum("times").alias("met"), F.sum(F.col("times") * F.log10(F.col("n") + 1.0)).alias("more_log"))
+    texts = parts.filter("n_tokens is not null").select("row", "doc_id", "held_out", "n_tokens", "n_known", "log", "score")
+    joined = texts.join(by_gram, F.col("row") == F.col("r1"), "left").join(by_word, F.col("row") == F.col("r2"), "left")
+    none = F.lit(0)
+    return joined.select(
+        "doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("met", none)).alias("n_known"), F.lit(train).cast("long").alias("train_tokens"),
+        (F.col("log") + F.coalesce("more_log", none) - F.col("n_tokens") * F.lit(base)).alias("base_score"), (F.col("score") + F.coalesce("more", none)).alias("score"),
     )
-    # the cost of each distinct gram, order by order
-    grams = table.filter("kind = 'g'").select("key", F.col("n").alias("c"))
-    todo = parts.filter("kind = 'g'").select("key").distinct().select("key", F.lit(0.0).alias("cost"), F.lit(0).cast("long").alias("mass"), F.lit(0).cast("long").alias("kinds"), F.lit(False).alias("done"))
-    cut = lambda k: F.col("key").bitwiseAND(F.lit((1 << _BITS * (k + 1)) - 1))
-    level = lambda k: grams.groupBy(cut(k).alias("g")).agg(F.sum("c").alias("c"))
-    for k in range(order, -1, -1):
-        own = level(k)
-        held = own.withColumn("x", F.shiftrightunsigned("g", _BITS))
-        if k:
-            below = level(k - 1).select(F.col("g").alias("h"), F.col("c").alias("b"))
-            held = held.join(below, F.col("g").bitwiseAND(F.lit((1 << _BITS * k) - 1)) == F.col("h"))
-        else:
-            held = held.withColumn("b", F.lit(0))
-        contexts = held.groupBy("x").agg(F.sum("c").alias("T"), F.count(F.lit(1)).alias("q"), F.sum("b").alias("E"))
-        joined = todo.withColumn("g_", cut(k)).join(own.withColumnRenamed("g", "g_"), "g_", "left").withColumn("x", F.shiftrightunsigned("g_", _BITS)).join(contexts, "x", "left")
-        total, kinds = F.col("T") - F.col("mass"), F.col("q") - F.col("kinds")
-        some = F.col("T").isNotNull() & (kinds > 0)
-        step = F.when(F.col("c").isNotNull(), F.log10(F.col("c") / (total + kinds))).when(some, F.log10(kinds / (total + kinds))).otherwise(0.0)
-        keep = lambda name, new: F.when(F.col("done") | F.col("c").isNotNull(), F.col(name)).otherwise(F.coalesce(new, F.lit(0)))
-        todo = materialise(
-            joined.select(
-                "key", (F.col("cost") + F.when(F.col("done"), 0.0).otherwise(step)).alias("cost"),
-                keep("mass", F.col("E")).cast("long").alias("mass"), keep("kinds", F.col("q")).cast("long").alias("kinds"),
-                (F.col("done") | F.col("c").isNotNull()).alias("done"),
-            ),
-            "ppm-costs",
-        )
-    last = F.when(F.col("done"), F.col("cost")).otherwise(F.col("cost") - F.log10(F.greatest(F.lit(SYMBOLS) - F.col("kinds"), F.lit(1)).cast("double")))
-    scored = parts.filter("kind = 'g'").join(todo.select("key", last.alias("cost")), "key").groupBy("row").agg(F.sum(F.col("m") * F.col("cost")).alias("score"))
-    base = math.log10(train + n_words + 1)
-    return unigram.join(scored, "row").select("doc_id", "held_out", "n_tokens", "n_known", F.lit(train).cast("long").alias("train_tokens"), (F.col("log") - F.col("n_tokens") * F.lit(base)).alias("base_score"), "score")

@@ -21,12 +21,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_of, materialise, text_of, with_row_key, without_ids
+from .common import id_of, materialise, slices, text_of, with_row_key, without_ids
 from .words import NOT_ALNUM, KeyTable, mix, parts_of, word_keys
 
 HEADS = ("low", "toxic")
 PREFIXES = (0, 4, 5, 6)
 _FORMS = 7
+#: Bytes of text whose features a worker holds at once, and pairs of row and feature that a step of the fit takes at once.
+_HELD, _PAIRS = 2 << 20, 1 << 18
 _CLASSES = np.stack([
     np.isin(np.arange(256), np.arange(65, 91)),
     np.isin(np.arange(256), np.arange(97, 123)),
@@ -74,7 +76,7 @@ def _features(texts: list[bytes], table: KeyTable | None = None) -> tuple[np.nda
     return np.concatenate(owners), np.concatenate(keys)
 
 
-def _groups(texts: list[bytes], size: int = 4 << 20) -> Iterator[tuple[int, int]]:
+def _groups(texts: list[bytes], size: int = _HELD) -> Iterator[tuple[int, int]]:
     """Ranges of texts of about so many bytes, whose features are made at once."""
     start = held = 0
     for i, t in enumerate(texts):
@@ -115,27 +117,41 @@ class Classifier:
         return {k: v for k, v in self.__dict__.items() if k != "_table"}
 
 
-def _fit_logistic(owner: np.ndarray, row: np.ndarray, n_features: int, target: np.ndarray, ridge: float = 0.5, rounds: int = 250) -> tuple[np.ndarray, float]:
-    """Ridge logistic regression on binary features by accelerated gradient steps."""
+def _fit_logistic(ends: np.ndarray, row: np.ndarray, n_features: int, target: np.ndarray, ridge: float = 0.5, rounds: int = 400, tolerance: float = 1e-4) -> tuple[np.ndarray, float]:
+    """Ridge logistic regression on binary features by accelerated gradient steps, until no weight moves more than
+    ``tolerance`` or ``rounds`` are done. ``row`` lists the features of each text, ``ends`` where each text's end."""
     n = len(target)
     rate = (target.sum() + 0.5) / (n + 1)
     w, b = np.zeros(n_features), float(np.log(rate / (1 - rate)))
-    per_row = np.bincount(owner, minlength=n)
-    step = 4.0 / (n * 1.0 + 1e-9) / max(1.0, np.percentile(per_row, 90) if n else 1)
+    size = np.diff(ends, prepend=0)
+    pace = max(1.0, np.percentile(size, 90) if n else 1)
+    scale = 2 / pace / (np.maximum(np.bincount(row, minlength=n_features), 1) + ridge)
     vw, vb = w.copy(), b
-    freq = np.maximum(np.bincount(row, minlength=n_features), 1)
+    cuts, at = [], 0
+    while at < n:
+        to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + _PAIRS, "right")))
+        cuts.append((at, to, int(ends[at - 1]) if at else 0, int(ends[to - 1])))
+        at = to
     for t in range(rounds):
-        z = vb + np.bincount(owner, vw[row], n)
-        gap = 1 / (1 + np.exp(-np.clip(z, -30, 30))) - target
-        new_w = vw - step * n * (np.bincount(row, gap[owner], n_features) + ridge * vw) / (freq + ridge) / 2
-        new_b = vb - step * gap.sum()
-        pull = t / (t + 3)
-        vw, vb = new_w + pull * (new_w - w), new_b + pull * (new_b - b)
+        pull, total = ridge * vw, 0.0
+        for a, z, first, last in cuts:
+            found = row[first:last]
+            sums = np.append(0.0, np.cumsum(vw[found]))
+            score = vb + sums[ends[a:z] - first] - sums[ends[a:z] - size[a:z] - first]
+            gap = 1 / (1 + np.exp(-np.clip(score, -30, 30))) - target[a:z]
+            pull += np.bincount(found, np.repeat(gap, size[a:z]), n_features)
+            total += gap.sum()
+        new_w, new_b = vw - scale * pull, vb - 4 / (n * pace) * total
+        moved = max(float(np.abs(new_w - w).max(initial=0)), abs(new_b - b))
+        speed = t / (t + 3)
+        vw, vb = new_w + speed * (new_w - w), new_b + speed * (new_b - b)
         w, b = new_w, new_b
+        if moved < tolerance:
+            break
     return w, b
 
 
-def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sample_rows: int = 20_000, max_features: int = 4_000, least_rows: int = 4, least_z: float = 5.0) -> Classifier:
+def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sample_rows: int = 20_000, max_features: int = 20_000, least_rows: int = 4, least_z: float = 5.0) -> Classifier:
     """The classifier of a bounded sample of the labelled rows (quality 0 is low; null labels count as neither)."""
     order = F.xxhash64(F.col("doc_id"))
     picked = (
@@ -149,7 +165,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, sums = np.empty(0, np.uint64), np.empty((0, 3), np.int64)
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole, 0, 4 << 20)):
             texts = [x.encode("utf-8", "surrogatepass") for x in batch.column(0).to_pylist()]
             marks = np.stack([np.ones(len(texts)), batch.column(1).to_numpy(), batch.column(2).to_numpy()], axis=1).astype(np.int64)
             for a, b in _groups(texts):
@@ -178,7 +194,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
     table = KeyTable(keys)
 
     def design(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole, 0, _HELD)):
             texts = [x.encode("utf-8", "surrogatepass") for x in batch.column(0).to_pylist()]
             lists: list[np.ndarray] = []
             for a, b in _groups(texts):
@@ -190,9 +206,8 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
 
     held = rows.mapInArrow(design, "low int, toxic int, rows array<int>").toArrow()  # at most sample_rows rows
     lists = held.column("rows").combine_chunks()
-    owner = np.repeat(np.arange(len(lists)), np.diff(lists.offsets.to_numpy()))
-    row = lists.values.to_numpy()
-    fitted = [_fit_logistic(owner, row, len(keys), held.column(h).to_numpy().astype(float)) for h in HEADS]
+    ends, row = lists.offsets.to_numpy()[1:].astype(np.int64), lists.values.to_numpy()
+    fitted = [_fit_logistic(ends, row, len(keys), held.column(h).to_numpy().astype(float)) for h in HEADS]
     return Classifier(keys, np.stack([w for w, _ in fitted], axis=1), np.array([b if whole[h] else -30.0 for (_, b), h in zip(fitted, HEADS)]))
 
 
@@ -200,7 +215,7 @@ def evidence(docs: DataFrame, model: Classifier, *, id_col: str = "doc_id", text
     """doc_id, host, path and the classifier's log-odds of each head for each row."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in (part for whole in batches for part in slices(whole, 3, _HELD)):
             logits = model.logits([x.encode("utf-8", "surrogatepass") for x in batch.column(3).to_pylist()]) if batch.num_rows else np.zeros((0, 2))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(logits[:, 0]), pa.array(logits[:, 1])], names=["doc_id", "host", "path", "z_low", "z_toxic"])
 

@@ -69,7 +69,7 @@ ORACLE_SQL = {
         ),
         bad AS (
             SELECT s.host, s.line FROM seen s JOIN totals t ON s.host IS NOT DISTINCT FROM t.host
-            WHERE t.pages >= 10 AND s.n > 1 AND s.n > t.pages * 0.1::DOUBLE
+            WHERE s.n >= 3 AND s.n > t.pages * 0.1::DOUBLE
         ),
         sets AS (SELECT host, list(line) AS lines FROM bad GROUP BY host),
         kept AS (
@@ -81,6 +81,33 @@ ORACLE_SQL = {
                md5(coalesce(array_to_string(new, chr(10)), '')) AS kept_md5
         FROM kept
     """,
+    "op7_sharding": rf"""
+        WITH steps AS (
+            SELECT list(c ORDER BY i) AS crc
+            FROM (SELECT i, list_reduce(range(8), lambda c, k: CASE WHEN c & 1 = 1 THEN xor(c >> 1, 3988292384) ELSE c >> 1 END, i) AS c FROM range(256) t(i))
+        ),
+        sized AS (
+            SELECT doc_id, source, strlen(coalesce(text, ''))::BIGINT + 1 AS size,
+                   list_transform(regexp_extract_all(hex(encode(coalesce(text, ''))), '..'), lambda h: ('0x' || h)::BIGINT) AS octets
+            FROM documents
+        ),
+        summed AS (
+            SELECT doc_id, source, size, xor(list_reduce(octets, lambda c, o: xor(c >> 8, crc[(xor(c, o) & 255) + 1]), 4294967295::BIGINT), 4294967295) AS text_crc32
+            FROM sized, steps
+        ),
+        once AS (SELECT *, ((doc_id % {sharding.DRAW_P} + 42) * {sharding.DRAW_A}) % {sharding.DRAW_P} AS x FROM summed),
+        twice AS (SELECT *, ((xor(x, x >> 15) + 42) * {sharding.DRAW_B}) % {sharding.DRAW_P} AS y FROM once),
+        ranked AS (
+            SELECT *, (row_number() OVER (PARTITION BY source ORDER BY xor(y, y >> 15), doc_id) - 1 + 0.5::DOUBLE) / count(*) OVER (PARTITION BY source) AS fraction
+            FROM twice
+        ),
+        placed AS (
+            SELECT *, row_number() OVER (ORDER BY fraction, source, xor(y, y >> 15), doc_id) - 1 AS place, count(*) OVER () AS total FROM ranked
+        )
+        SELECT doc_id, size, text_crc32, 'rows' AS law, (place * 8 // total)::INT AS shard,
+               place - ((place * 8 // total) * total + 7) // 8 AS slot, NULL::INT AS grown_shard, source
+        FROM placed
+    """,
     "op10_exact_dedup": r"""
         WITH n AS (SELECT doc_id, regexp_replace(coalesce(text, ''), '[\x20\x09-\x0D]+', ' ', 'g') AS body FROM documents),
         g AS (SELECT body, min(doc_id) AS keep_id, count(*) AS group_size FROM n GROUP BY body)

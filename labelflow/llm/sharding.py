@@ -9,12 +9,23 @@ for each partition.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import id_of, materialise, text_of
 
 _IN_PARTITION = (1 << 33) - 1
+#: The prime and the factors of the seeded order.
+DRAW_P, DRAW_A, DRAW_B = 2_147_483_647, 1_103_515_245, 1_664_525
+
+
+def _draw(id_column: Column, seed: int) -> Column:
+    """A seeded number below 2^31 for each id: two products modulo a prime, the upper bits folded in after each."""
+    x = F.pmod(F.coalesce(id_column, F.lit(0)), F.lit(DRAW_P))
+    for factor in (DRAW_A, DRAW_B):
+        x = F.pmod((x + F.lit(seed)) * F.lit(factor), F.lit(DRAW_P))
+        x = x.bitwiseXOR(F.shiftright(x, 15))
+    return x
 
 
 def _numbered(df: DataFrame, order: list[str], name: str) -> DataFrame:
@@ -37,7 +48,7 @@ def stratified_shards(docs: DataFrame, n_shards: int = 8, *, seed: int = 42, id_
         F.col(f"`{stratum_col}`").cast("string").alias("source"),
         (F.octet_length(body).cast("long") + 1).alias("size"),
         F.crc32(body.cast("binary")).alias("text_crc32"),
-    ).withColumn("draw", F.xxhash64(F.lit(seed), "doc_id"))
+    ).withColumn("draw", _draw(F.col("doc_id"), seed))
     first = _numbered(rows, ["source", "draw", "doc_id", "text_crc32", "size"], "shard-ranked")
     counts = first.groupBy("part", "source").agg(F.min("nth").alias("start"), F.count(F.lit(1)).alias("n"))
     before = Window.partitionBy("source").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)

@@ -1,7 +1,7 @@
 """SimHash near-duplicates: 64-bit fingerprints of word shingles, linked within a Hamming radius by BK-trees.
 
-Fingerprints that differ in at most r bits agree on at least m - r of m blocks of their bits, so each choice of
-m - r blocks is one table of buckets and no link is lost. A bucket's fingerprints are one shard tree: children are
+Fingerprints that differ in at most r bits agree on at least two of r + 2 blocks of their bits, so each choice of
+two blocks is one table of buckets and no link is lost; the number of tables is the same at every size. A bucket's fingerprints are one shard tree: children are
 keyed by their Hamming distance to the parent and a search follows only the edges within the radius. The trees are
 not broadcast, as their total grows with the corpus; each is built in the task to which its bucket was dealt and
 is searched there by the bucket's own members. A bucket of more than ``tree_size`` fingerprints becomes several
@@ -61,11 +61,6 @@ def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
     return docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text")).mapInArrow(run, "doc_id long, fp long")
 
 
-def _blocks(n: int, radius: int) -> int:
-    """Blocks of bits: more for more fingerprints, so that buckets stay small."""
-    return next((m for m in range(radius + 1, radius + 4) if n >> (64 * (m - radius) // m) <= 512), radius + 4)
-
-
 def _bucket_keys(fp: Column, blocks: int, radius: int, first: int) -> Column:
     edges = [64 * i // blocks for i in range(blocks + 1)]
     tables = []
@@ -78,8 +73,7 @@ def _bucket_keys(fp: Column, blocks: int, radius: int, first: int) -> Column:
 
 def hamming_links(nodes: DataFrame, *, radius: int = 3, tree_size: int = 1024, unit_rows: int = 200_000) -> DataFrame:
     """(a, b) links of ``node`` longs whose components are those of all pairs of ``fp`` within ``radius`` bits."""
-    n = nodes.count()
-    blocks = _blocks(n, radius)
+    n, blocks = nodes.count(), radius + 2
     tables = nodes.select("node", "fp", F.explode(_bucket_keys(F.col("fp"), blocks, radius, 0)).alias("key"))
     counts = tables.groupBy("key").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").select(F.col("key").alias("k"), "n")
     held = tables.join(counts, F.col("key") == F.col("k")).withColumn("trees", F.ceil(F.col("n") / tree_size).cast("int"))
@@ -157,7 +151,7 @@ def band_keys(keys: np.ndarray, bands: int, rows: int) -> np.ndarray:
     return out
 
 
-def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8, radius: int = 6, bands: int = 24, band_rows: int = 5, tree_size: int = 1024, unit_rows: int = 1024) -> DataFrame:
+def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", shingle: int = 5, similarity: float = 0.8, radius: int = 3, bands: int = 24, band_rows: int = 5, tree_size: int = 1024, unit_rows: int = 1024) -> DataFrame:
     """doc_id, component_id (smallest doc_id reachable) for each row, by resemblance of word shingles.
 
     Loose components join texts within ``radius`` bits in either of two fingerprints of word pairs, and texts that

@@ -6,7 +6,8 @@ from collections.abc import Iterator
 
 import numpy as np
 
-SLICE = 1 << 21
+#: Bytes whose words are keyed at once; arrays of so many stay in cache.
+SLICE = 1 << 18
 _A, _B = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)
 _VALUE = np.random.default_rng(20240229).integers(1, 1 << 63, 256, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 #: ASCII white space, and ASCII bytes that are neither letters nor digits.

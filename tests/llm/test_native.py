@@ -70,13 +70,13 @@ def test_shards_interleave_sources(spark, n_shards):
 
 @pytest.mark.parametrize("limit", [10**6, 0])
 def test_line_dedup(spark, limit):
-    rows = [(i, f"menu\nbody {i}\n\nmenu" if i % 2 else f"body {i}\nrare", "a") for i in range(30)] + [(i, "menu\nx", "few") for i in range(50, 55)]
+    rows = [(i, f"menu\nbody {i}\n\nmenu" if i % 2 else f"body {i}\nrare", "a") for i in range(30)] + [(i, "menu\nx" if i < 54 else f"own {i}", "few") for i in range(50, 56)] + [(i, "copied\ntext", "two") for i in (60, 61)]
     rows += [(90, None, "a"), (91, "", "a"), (92, "menu", "a"), (93, "menu\nz", None)]
     df = spark.createDataFrame(rows, SCHEMA).withColumn("host", F.lit("clash")).withColumn("lines", F.lit(1))
     pages = Counter(s for _, _, s in rows)
     seen = Counter((s, x) for _, t, s in rows for x in set((t or "").split("\n")))
-    bad = {k for k, n in seen.items() if pages[k[0]] >= 10 and n > 1 and n > pages[k[0]] * 0.1 and k[1].strip(" \t\n\r\x0b\x0c")}
-    assert ("a", "menu") in bad and ("a", "rare") in bad and ("few", "menu") not in bad
+    bad = {k for k, n in seen.items() if n >= 3 and n > pages[k[0]] * 0.1 and k[1].strip(" \t\n\r\x0b\x0c")}
+    assert ("a", "menu") in bad and ("a", "rare") in bad and ("few", "menu") in bad and ("two", "copied") not in bad
     want = {i: None if t is None else "\n".join(x for x in t.split("\n") if (s, x) not in bad) for i, t, s in rows}
     out = line_dedup.drop_boilerplate(df, broadcast_lines=limit)
     assert out.columns == df.columns and {r["doc_id"]: r["text"] for r in out.collect()} == want
