@@ -70,6 +70,13 @@ def recommend(k: float, m: int, eps: float, delta: float, z: float | None = None
     return Size(zipf.width, sparse.depth, "zipf") if zipf.width < sparse.width else sparse
 
 
+def expected_entries(nodes: int, edges: int, seeds: int, m: int, steps: int) -> float:
+    """Entries of a node that ``steps`` steps over ``edges`` directed edges let expect: its share of the seeds, times the
+    mean degree for each step, and at most all m labels."""
+    mean = edges / max(nodes, 1)
+    return min(float(m), seeds / max(nodes, 1) * (1 + mean) ** min(steps, 64))
+
+
 def choose_store(m: int, cells: int, nnz_per_node: float) -> str:
     """The layout with the fewest bytes for each node: 16 an entry (long), 8 a label (dense), 8 a cell (sketch)."""
     cost = {"exact_long": 16 * nnz_per_node, "exact_dense": 8.0 * m, "sketch": 8.0 * cells}

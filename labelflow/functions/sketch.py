@@ -67,8 +67,10 @@ class SketchSpec:
 
 
 def linear_hash(key: Column, spec: SketchSpec, row: int) -> Column:
-    """The cell of ``key`` in a row. Keys must lie in [0, p), so that products stay below 2^62."""
-    return ((key.cast("long") * F.lit(spec.a[row]) + F.lit(spec.b[row])) % F.lit(spec.prime) % F.lit(spec.width) + F.lit(row * spec.width)).cast("int")
+    """The cell of ``key`` in a row. Keys must lie in [0, p), so that products stay below 2^62; others raise."""
+    key = key.cast("long")
+    key = F.when((key < 0) | (key >= spec.prime), F.raise_error(F.lit(f"keys of a sketch must lie in [0, {spec.prime})")).cast("long")).otherwise(key)
+    return ((key * F.lit(spec.a[row]) + F.lit(spec.b[row])) % F.lit(spec.prime) % F.lit(spec.width) + F.lit(row * spec.width)).cast("int")
 
 
 def cells_of(key: Column, spec: SketchSpec) -> Column:
@@ -101,6 +103,12 @@ def estimate_block(block: Column, key: Column, spec: SketchSpec) -> Column:
     return F.array_min(F.transform(cells_of(key, spec), lambda c: F.element_at(block, c + 1)))
 
 
+def estimate_arrays(blocks: DataFrame, pairs: DataFrame, key: str, by: list[str], spec: SketchSpec) -> DataFrame:
+    """As :func:`estimate`, from array sketches (by..., s)."""
+    met = pairs.select(*by, key).distinct().join(blocks.select(*by, "s"), by, "left")
+    return met.select(*by, key, F.coalesce(estimate_block(F.col("s"), F.col(key), spec), F.lit(0.0)).alias("estimate"))
+
+
 def combine(parts: list[tuple[float, DataFrame]], by: list[str]) -> DataFrame:
     """The linear combination of sketches (cells) of one spec."""
     scaled = [s.select(*by, "cell", (F.col("val") * F.lit(float(c))).alias("val")) for c, s in parts]

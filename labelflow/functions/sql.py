@@ -26,3 +26,27 @@ def vector_sum(df: DataFrame, by: list[str], block: str, weight: Column) -> Data
     from pyspark.ml.stat import Summarizer
 
     return df.groupBy(*by).agg(vector_to_array(Summarizer.sum(array_to_vector(F.col(block)), weight)).alias(block))
+
+
+def cells_udtf(spec: SketchSpec):
+    """A Python table function (key, val) -> (cell, val): the same rows as lf_cells, to compare with it."""
+    from pyspark.sql.functions import udtf
+
+    class Cells:
+        def eval(self, key: int, val: float):
+            for row in range(spec.depth):
+                yield spec.cell_index(key, row), val
+
+    return udtf(Cells, returnType="cell int, val double")
+
+
+def vector_sum_arrow(df: DataFrame, by: str, block: str, weight: str) -> DataFrame:
+    """As :func:`vector_sum` with a literal weight column, by a grouped function over Arrow tables, to compare with it."""
+    import numpy as np
+    import pyarrow as pa
+
+    def total(t: pa.Table) -> pa.Table:
+        held = np.array(t[block].to_pylist())
+        return pa.table({by: t[by].slice(0, 1), block: pa.array([held.T @ t[weight].to_numpy()], pa.list_(pa.float64()))})
+
+    return df.select(by, block, weight).groupBy(by).applyInArrow(total, f"{by} {dict(df.dtypes)[by]}, {block} array<double>")

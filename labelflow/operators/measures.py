@@ -9,6 +9,7 @@ from ..functions import sketch as cms
 from ..functions.sketch import SketchSpec
 from ..plans.affine import AffinePlan
 from ..session import cut
+from .decode import pair_errors, rank_gold
 from .graph import symmetrise, transition
 from .propagate import delta, step
 
@@ -27,10 +28,48 @@ def gold_ranks(scores: DataFrame, gold: DataFrame, ties: str = "max") -> DataFra
     return gold.select("node", "label").join(met.select("node", "label", rank.cast("double").alias("rank")), ["node", "label"], "left")
 
 
+def _mean_reciprocal(ranks: DataFrame) -> DataFrame:
+    best = ranks.groupBy("node").agg(F.coalesce(1 / F.min("rank"), F.lit(0.0)).alias("reciprocal"))
+    return best.agg(F.count(F.lit(1)).alias("nodes"), F.coalesce(F.avg("reciprocal"), F.lit(0.0)).alias("mrr"))
+
+
 def mrr(scores: DataFrame, gold: DataFrame, ties: str = "max") -> DataFrame:
     """nodes, mrr: the mean over gold nodes of 1 / rank of the best-ranked gold label; absent labels give 0."""
-    best = gold_ranks(scores, gold, ties).groupBy("node").agg(F.coalesce(1 / F.min("rank"), F.lit(0.0)).alias("reciprocal"))
-    return best.agg(F.count(F.lit(1)).alias("nodes"), F.coalesce(F.avg("reciprocal"), F.lit(0.0)).alias("mrr"))
+    return _mean_reciprocal(gold_ranks(scores, gold, ties))
+
+
+def mrr_sketch(sketch: DataFrame, gold: DataFrame, labels: DataFrame, spec: SketchSpec, ties: str = "max", digits: int | None = None) -> DataFrame:
+    """As :func:`mrr`, by estimates; ranks are taken within batches of nodes, so only gold pairs leave them."""
+    met = rank_gold(sketch, gold, labels, spec, digits)
+    rank = {"min": F.col("above") + 1, "max": F.col("level"), "mean": (F.col("above") + 1 + F.col("level")) / 2}[ties]
+    return _mean_reciprocal(gold.select("node", "label").join(met.select("node", "label", rank.cast("double").alias("rank")), ["node", "label"], "left"))
+
+
+def random_mrr(gold: DataFrame, labels: int) -> DataFrame:
+    """nodes, mrr of a random ranking, in expectation: with g gold labels of m, the sum over r of 1/r times the
+    probability that the best gold label has rank r, which is C(m - r, g - 1) / C(m, g)."""
+    r = F.explode(F.sequence(F.lit(1), F.lit(labels))).alias("r")
+    ways = gold.groupBy("node").agg(F.countDistinct("label").alias("g")).groupBy("g").agg(F.count(F.lit(1)).alias("n"))
+    choose = lambda n, k: F.exp(_log_factorial(n) - _log_factorial(k) - _log_factorial(n - k))
+    share = ways.select("g", "n", r).filter(F.col("r") <= labels - F.col("g") + 1).select("g", "n", (choose(F.lit(labels) - F.col("r"), F.col("g") - 1) / choose(F.lit(labels), F.col("g")) / F.col("r")).alias("p"))
+    each = share.groupBy("g", "n").agg(F.sum("p").alias("p"))
+    return each.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("nodes"), F.coalesce(F.sum(F.col("n") * F.col("p")) / F.sum("n"), F.lit(0.0)).alias("mrr"))
+
+
+def _log_factorial(n):
+    """ln n! of a column of whole numbers (Stirling's series, exact to rounding from 10 on; smaller ones from the list)."""
+    n = n.cast("double")
+    large = (n + 0.5) * F.ln(n) - n + 0.5 * F.ln(F.lit(2 * 3.141592653589793)) + 1 / (12 * n) - 1 / (360 * n * n * n) + 1 / (1260 * F.pow(n, F.lit(5.0)))
+    return F.when(n < 10, F.ln(F.factorial(n.cast("int")).cast("double"))).otherwise(large)
+
+
+def one_hop_votes(edges: DataFrame, seeds: DataFrame) -> DataFrame:
+    """node, label, score: the weight of seeded neighbours, the control that looks one or two steps far in a graph of
+    items and attributes (attributes count the seeds, items their attributes)."""
+    sym = symmetrise(edges)
+    one = sym.join(seeds.select(F.col("node").alias("src"), "label", "score"), "src").groupBy(F.col("dst").alias("src"), "label").agg(F.sum(F.col("w") * F.col("score")).alias("score"))
+    two = sym.join(one, "src").groupBy(F.col("dst").alias("node"), "label").agg(F.sum(F.col("w") * F.col("score")).alias("score"))
+    return one.select(F.col("src").alias("node"), "label", "score").unionByName(two).groupBy("node", "label").agg(F.sum("score").alias("score"))
 
 
 def errors(sketch: DataFrame, exact: DataFrame, pairs: DataFrame, spec: SketchSpec) -> DataFrame:
@@ -44,9 +83,13 @@ def all_pairs(nodes: DataFrame, labels: int) -> DataFrame:
     return nodes.select("node", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(labels - 1).cast("long"))).alias("label"))
 
 
-def approximation_error(sketch: DataFrame, exact: DataFrame, pairs: DataFrame, spec: SketchSpec, eps: float) -> DataFrame:
-    """max_over, min_over, violations (errors above eps) over the pairs."""
-    return errors(sketch, exact, pairs, spec).agg(F.max("error").alias("max_over"), F.min("error").alias("min_over"), F.sum(F.when(F.col("error") > eps, 1).otherwise(0)).alias("violations"))
+def approximation_error(sketch: DataFrame, exact: DataFrame, labels: DataFrame, spec: SketchSpec, eps: float, nodes: int | None = None) -> DataFrame:
+    """max_over, min_over, violations (errors above eps) over all pairs of a node and one of ``labels``, absent scores
+    as 0; and pairs, if the number of ``nodes`` is given."""
+    out = pair_errors(sketch, exact, labels, spec, eps)
+    if nodes is not None:
+        out = out.withColumn("pairs", F.lit(nodes * labels.count()).cast("long"))
+    return out
 
 
 def state_size(scores: DataFrame, store: str, width: int = 0) -> DataFrame:
@@ -105,7 +148,11 @@ def conductance(edges: DataFrame, communities: DataFrame) -> DataFrame:
 
 
 def escape_mass(edges: DataFrame, communities: DataFrame, steps: int) -> DataFrame:
-    """node, mass: the probability that a walk from a member leaves its community within so many steps."""
+    """node, mass, psi, bound: the probability that a walk from a member leaves its community within so many steps, the
+    community's max-conductance (which bounds one step, and a walk that is absorbed when it first stops), and
+    1 - (1 - psi) ** steps, which bounds them all."""
+    shares = boundary(edges, communities)
+    psi = shares.groupBy(F.col("community").alias("c_")).agg(F.max(F.col("out") / F.col("vol")).alias("psi"))
     walk = transition(edges)
     c = communities.select("node", "community")
     inside = walk.join(c.select(F.col("node").alias("src"), F.col("community").alias("a")), "src").join(c.select(F.col("node").alias("dst"), F.col("community").alias("b")), "dst").filter("a = b").select("src", "dst", "p")
@@ -114,7 +161,8 @@ def escape_mass(edges: DataFrame, communities: DataFrame, steps: int) -> DataFra
     for t in range(steps):
         moved = inside.join(stay.withColumnRenamed("node", "dst"), "dst").groupBy(F.col("src").alias("node")).agg(F.sum(F.col("p") * F.col("stay")).alias("stay"))
         stay = c.select("node").join(moved, "node", "left").select("node", F.coalesce("stay", F.lit(0.0)).alias("stay"))
-    return stay.select("node", (1 - F.col("stay")).alias("mass"))
+    mass = stay.join(c.withColumnRenamed("node", "n_"), F.col("node") == F.col("n_")).join(psi, F.col("community") == F.col("c_"))
+    return mass.select("node", (1 - F.col("stay")).alias("mass"), "psi", (1 - F.pow(1 - F.col("psi"), F.lit(steps))).alias("bound"))
 
 
 def reach_mass(plan: AffinePlan, seeds: DataFrame, steps: int) -> DataFrame:
@@ -127,6 +175,15 @@ def reach_mass(plan: AffinePlan, seeds: DataFrame, steps: int) -> DataFrame:
     return state.select("node", "label", F.col("score").alias("mass"))
 
 
+def retrieval(scores: DataFrame, gold: DataFrame, cuts: tuple[int, ...] = (1, 10)) -> DataFrame:
+    """item, gold, recall_at_k for each cut, reciprocal: of the ranking of each item's documents by score (ties to the
+    smaller document) against its gold documents. ``scores`` has item, doc, score; ``gold`` item, doc."""
+    ranked = scores.withColumn("rank", F.row_number().over(Window.partitionBy("item").orderBy(F.desc("score"), "doc"))).select(F.col("item").alias("i_"), F.col("doc").alias("d_"), "rank")
+    met = gold.join(ranked, (F.col("item") == F.col("i_")) & (F.col("doc") == F.col("d_")), "left")
+    recall = [F.avg(F.when(F.col("rank") <= k, 1.0).otherwise(0.0)).alias(f"recall_at_{k}") for k in cuts]
+    return met.groupBy("item").agg(F.count(F.lit(1)).alias("gold"), *recall, F.coalesce(1 / F.min("rank"), F.lit(0.0)).alias("reciprocal"))
+
+
 def objective(scores: DataFrame, edges: DataFrame, seeds: DataFrame, mu: tuple[float, float, float], priors: DataFrame | None = None) -> DataFrame:
     """fit, smooth, prior, total: what the modified adsorption update lowers, summed over labels.
 

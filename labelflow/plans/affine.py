@@ -22,6 +22,8 @@ class AffinePlan:
     edges: DataFrame  # src, dst, coef
     prior: DataFrame  # node, coef
     method: str = "custom"
+    at_rest: bool = False  # whether the edges lie in buckets by source (see operators.propagate.place)
+    hubs: DataFrame | None = None  # src, salts: sources of edges at rest that are dealt over several buckets
 
     def row_weight(self) -> DataFrame:
         """node, weight: the total of each node's coefficients from neighbours; with inject and prior at most 1."""
@@ -118,12 +120,18 @@ def adsorption(edges: DataFrame, seeds: DataFrame, probs: str | float = "entropy
     return AffinePlan(p.filter("p_inject > 0").select("node", F.col("p_inject").alias("coef")), coef, p.filter("p_abandon > 0").select("node", F.col("p_abandon").alias("coef")), "adsorption")
 
 
-def absorbing_walk(edges: DataFrame, seeds: DataFrame, lam: float = 1.0) -> AffinePlan:
-    """A walk that is absorbed at a node with rate lam against its degree."""
+def absorbing_walk(edges: DataFrame, seeds: DataFrame, lam: float | DataFrame = 1.0) -> AffinePlan:
+    """A walk that is absorbed at a node with rate lam against its degree; ``lam`` is one rate, or (node, lam) with a
+    rate for each node (0 where absent)."""
     sym = strip_self_loops(symmetrise(edges))
     deg = sym.groupBy(F.col("dst").alias("node")).agg(F.sum("w").alias("deg"))
-    coef = sym.join(deg.withColumnRenamed("node", "dst"), "dst").select("src", "dst", (F.col("w") / (lam + F.col("deg"))).alias("coef"))
-    inject = seeds.select("node").distinct().join(deg, "node", "left").select("node", (F.lit(float(lam)) / (lam + F.coalesce("deg", F.lit(0.0)))).alias("coef"))
+    every = _isolated(None, deg, seeds).join(deg, "node", "left").withColumn("deg", F.coalesce("deg", F.lit(0.0)))
+    if isinstance(lam, DataFrame):
+        every = every.join(lam.select("node", "lam"), "node", "left").withColumn("lam", F.coalesce("lam", F.lit(0.0)))
+    else:
+        every = every.withColumn("lam", F.lit(float(lam)))
+    coef = sym.join(every.withColumnRenamed("node", "dst"), "dst").select("src", "dst", (F.col("w") / (F.col("lam") + F.col("deg"))).alias("coef"))
+    inject = seeds.select("node").distinct().join(every, "node").filter("lam > 0").select("node", (F.col("lam") / (F.col("lam") + F.col("deg"))).alias("coef"))
     return AffinePlan(inject, coef, _no_prior(inject), "absorbing_walk")
 
 
