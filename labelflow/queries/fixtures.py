@@ -40,8 +40,15 @@ def held(spark: SparkSession, sf_dir: str, name: str, make):
     return _HELD[key]
 
 
+def forget_runs() -> None:
+    """Drop all that is held but graphs, seeds and gold, so that the next query makes its own states."""
+    for key in [k for k, v in _HELD.items() if not isinstance(v, Task)]:
+        del _HELD[key]
+
+
 def per_class(parts: int) -> int:
-    return 1 if parts < 1000 else 2 if parts < 10_000 else 10
+    """Seeds a class: the experiment's 10, but 1 on the smoke scale, where 10 would leave nothing to hold out."""
+    return 1 if parts < 1000 else 10
 
 
 def task(graph: Graph, members: DataFrame, n_seeds: int, name: str) -> Task:
@@ -72,24 +79,38 @@ def geo(spark: SparkSession, sf_dir: str) -> Task:
     return held(spark, sf_dir, "geo", make)
 
 
+def _injected(graph: Graph, kind: str, name: str) -> Task:
+    """Each node of a kind seeded with a label of its own."""
+    nodes = cut(graph.nodes, f"{name}-nodes")
+    own = nodes.filter(F.col("kind") == kind)
+    q = cut(seeds.self_injection(own.select("node")), f"{name}-seeds")
+    return Task(nodes, cut(graph.edges, f"{name}-edges"), q, q.select("node", "label"), q.select("label", F.col("node").cast("string").alias("name")), q.count())
+
+
+#: Events of the smaller self-injection graph, a subset of the larger one's.
+FEW_EVENTS = 10_000
+
+
 def events(spark: SparkSession, sf_dir: str) -> Task:
     """Every event seeded with a label of its own."""
+    return held(spark, sf_dir, "events", lambda: _injected(graphs.event_tags(spark, sf_dir), "event", "ev"))
+
+
+def few_events(spark: SparkSession, sf_dir: str) -> Task:
+    """The first events, each with a label of its own."""
+    return held(spark, sf_dir, "few-events", lambda: _injected(graphs.event_tags(spark, sf_dir, FEW_EVENTS), "event", "few"))
 
-    def make():
-        g = graphs.event_tags(spark, sf_dir)
-        nodes = cut(g.nodes, "ev-nodes")
-        own = nodes.filter("kind = 'event'").select("node")
-        q = cut(seeds.self_injection(own), "ev-seeds")
-        return Task(nodes, cut(g.edges, "ev-edges"), q, q.select("node", "label"), q.select("label", F.col("node").cast("string").alias("name")), q.count())
 
-    return held(spark, sf_dir, "events", make)
+def order_items(spark: SparkSession, sf_dir: str) -> Task:
+    """Every order seeded with a label of its own, among customers, parts and suppliers."""
+    return held(spark, sf_dir, "orders", lambda: _injected(graphs.order_items(spark, sf_dir), "order", "orders"))
 
 
-def docs(spark: SparkSession, sf_dir: str) -> Task:
-    """Documents classed by language through shared tokens, 5 seeds for each."""
+def docs(spark: SparkSession, sf_dir: str, by: str = "lang") -> Task:
+    """Documents classed by language (or source) through shared tokens, 5 seeds for each."""
 
     def make():
-        members = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("node"), F.col("lang").alias("name"))
+        members = table(spark, sf_dir, "documents").select(F.col("doc_id").alias("node"), F.col(by).alias("name"))
         return task(graphs.doc_tokens(spark, sf_dir), members, 5, "docs")
 
-    return held(spark, sf_dir, "docs", make)
+    return held(spark, sf_dir, f"docs-{by}", make)

@@ -10,13 +10,13 @@ from ..functions import sketch as cms
 from ..operators import decode as dec
 from ..operators import measures as ms
 from ..operators.blocks import propagate_blocks
-from ..operators.propagate import constants, propagate, step
+from ..operators.propagate import PropagationResult, StateBudgetExceeded, propagate
 from ..plans import affine
 from ..session import cut
 from ..sources import graphs, seeds
 from ..sources.tables import table
 from . import fixtures as fx
-from .sql import EVENTS, GEO, KB, MU1, MU2, MU3, SYM, cells_sql, encoded, estimates, iterate, ma, sketched, tokens_fixture, with_
+from .sql import EVENTS, FEW_EVENTS, GEO, KB, KB_NOISY, MU1, MU2, MU3, ORDERS, SYM, cells_sql, encoded, estimates, iterate, ma, sketched, tokens_fixture, with_
 
 Q, SQL = {}, {}
 WIDE, SMALL = fx.spec(109, 8), fx.spec(20, 3)
@@ -51,14 +51,26 @@ def _exact(spark, sf_dir, steps):
     return propagate(ma_plan(t), t.seeds, max_iter=steps).scores
 
 
-def sketch(spark: SparkSession, sf_dir: str, steps: int, spec) -> DataFrame:
+def sketched_run(spark: SparkSession, sf_dir: str, steps: int, spec) -> PropagationResult:
+    """The parts workload on array sketches; ``sketch`` has its cells, ``blocks`` its arrays."""
+
     def make():
         t = fx.parts_kb(spark, sf_dir)
-        return cut(propagate(ma_plan(t), t.seeds, store="sketch", spec=spec, max_iter=steps).sketch, "sketch")
+        return propagate(ma_plan(t), t.seeds, store="sketch_block", spec=spec, max_iter=steps)
 
     return fx.held(spark, sf_dir, f"sketch{steps}-{spec.width}x{spec.depth}", make)
 
 
+def exact_run(spark: SparkSession, sf_dir: str, steps: int) -> PropagationResult:
+    """The parts workload on arrays of all labels, with the entries of each step."""
+
+    def make():
+        t = fx.parts_kb(spark, sf_dir)
+        return propagate(ma_plan(t), t.seeds, store="exact_dense", labels=t.m, max_iter=steps, trace=True)
+
+    return fx.held(spark, sf_dir, f"dense{steps}", make)
+
+
 # Count-min sketches ---------------------------------------------------------------------------------------------
 
 _EV = "ev AS (SELECT user_id AS node, event_id AS label, value AS score FROM events WHERE value > 0)"
@@ -90,11 +102,6 @@ def cms_point_query(spark, sf_dir):
 _TWO = ["a AS (SELECT user_id AS node, event_id AS label, value AS score FROM events WHERE event_type = 'click')", "b AS (SELECT user_id AS node, event_id AS label, value AS score FROM events WHERE event_type = 'view')"]
 
 
-def _types(spark, sf_dir):
-    kinds = sorted(r[0] for r in table(spark, sf_dir, "events").select("event_type").distinct().limit(50).collect())
-    return kinds
-
-
 def _kind(spark, sf_dir, kind):
     return table(spark, sf_dir, "events").filter(F.col("event_type") == kind).select(F.col("user_id").alias("node"), F.col("event_id").alias("label"), F.col("value").alias("score"))
 
@@ -287,7 +294,7 @@ def ma_delta_trace(spark, sf_dir):
 @query(with_(KB, ma(), sketched(1, WIDE)) + " SELECT node, cell, round(val, 6) AS val FROM s1")
 def sketch_one_step(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    return _cells(propagate(ma_plan(t), t.seeds, store="sketch", spec=WIDE, max_iter=1).sketch)
+    return _cells(propagate(ma_plan(t), t.seeds, store="sketch_cells", spec=WIDE, max_iter=1).sketch)
 
 
 @query(with_(KB, ma(), sketched(3, WIDE)) + " SELECT node, cell, round(val, 6) AS val FROM s3")
@@ -314,14 +321,14 @@ _HOLD = "hold AS (SELECT node, label FROM gold WHERE node NOT IN (SELECT node FR
 @query(with_(KB, ma(), sketched(3, WIDE), [_HOLD, estimates("e", "hold", "s3", WIDE)]) + " SELECT node, label, round(estimate, 6) AS estimate FROM e")
 def sketch_t3_estimates(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    out = cms.estimate(sketch(spark, sf_dir, 3, WIDE), seeds.holdout(t.gold, t.seeds), "label", ["node"], WIDE)
+    out = sketched_run(spark, sf_dir, 3, WIDE).estimate(seeds.holdout(t.gold, t.seeds))
     return out.select("node", "label", r6("estimate").alias("estimate"))
 
 
 @query(with_(KB, ma(), iterate(3), sketched(3, SMALL), [encoded("ey", "y3", SMALL)]) + " SELECT count(*) AS cells, sum(CASE WHEN abs(coalesce(a.val, 0) - coalesce(b.val, 0)) > 1e-9 THEN 1 ELSE 0 END)::BIGINT AS mismatches FROM ey a FULL JOIN s3 b ON a.node = b.node AND a.cell = b.cell")
 def sketch_commutes(spark, sf_dir):
     a = cms.encode(exact(spark, sf_dir, 3), "label", "score", ["node"], SMALL).withColumnRenamed("val", "x")
-    both = a.join(sketch(spark, sf_dir, 3, SMALL), ["node", "cell"], "full")
+    both = a.join(sketched_run(spark, sf_dir, 3, SMALL).sketch, ["node", "cell"], "full")
     apart = F.abs(F.coalesce("x", F.lit(0.0)) - F.coalesce("val", F.lit(0.0))) > 1e-9
     return both.agg(F.count(F.lit(1)).alias("cells"), F.sum(F.when(apart, 1).otherwise(0)).alias("mismatches"))
 
@@ -329,7 +336,7 @@ def sketch_commutes(spark, sf_dir):
 @query(with_(KB, ma(), sketched(2, SMALL)) + " SELECT node, cell, round(val, 6) AS val FROM s2")
 def sketch_row_sharded(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    return _cells(propagate(ma_plan(t), t.seeds, store="sketch", spec=SMALL, max_iter=2, shard_rows=True).sketch)
+    return _cells(propagate(ma_plan(t), t.seeds, store="sketch_cells", spec=SMALL, max_iter=2, shard_rows=True).sketch)
 
 
 def _all_estimates(cells: str, spec) -> list[str]:
@@ -339,14 +346,14 @@ def _all_estimates(cells: str, spec) -> list[str]:
 @query(with_(KB, ma(), sketched(2, WIDE), _all_estimates("s2", WIDE)) + " SELECT node, label, round(round(estimate, 9), 6) AS estimate, rank::BIGINT AS rank FROM (SELECT *, row_number() OVER (PARTITION BY node ORDER BY round(estimate, 9) DESC, label) AS rank FROM est) WHERE rank <= 3")
 def decode_topk(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    s = sketch(spark, sf_dir, 2, WIDE).withColumn("val", F.round("val", 9))
+    s = sketched_run(spark, sf_dir, 2, WIDE).blocks.withColumn("s", F.transform("s", lambda x: F.round(x, 9)))
     return dec.decode_topk(s, t.labels, WIDE, 3).select("node", "label", r6("estimate").alias("estimate"), F.col("rank").cast("long").alias("rank"))
 
 
 @query(with_(KB, ma(), sketched(2, WIDE), _all_estimates("s2", WIDE)) + " SELECT node, label, round(estimate, 6) AS estimate FROM est WHERE estimate >= 0.00011::DOUBLE")
 def decode_threshold(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    return dec.decode_threshold(sketch(spark, sf_dir, 2, WIDE), t.labels, WIDE, 0.00011).select("node", "label", r6("estimate").alias("estimate"))
+    return dec.decode_threshold(sketched_run(spark, sf_dir, 2, WIDE).blocks, t.labels, WIDE, 0.00011).select("node", "label", r6("estimate").alias("estimate"))
 
 
 # Other rules -----------------------------------------------------------------------------------------------------
@@ -365,7 +372,7 @@ def harmonic_t3(spark, sf_dir):
 @query(with_(GEO, _HARMONIC, sketched(3, SMALL)) + " SELECT node, cell, round(val, 6) AS val FROM s3")
 def harmonic_sketch_t3(spark, sf_dir):
     t = fx.geo(spark, sf_dir)
-    return _cells(propagate(affine.harmonic(t.edges, t.seeds), t.seeds, store="sketch", spec=SMALL, max_iter=3).sketch)
+    return _cells(propagate(affine.harmonic(t.edges, t.seeds), t.seeds, store="sketch_cells", spec=SMALL, max_iter=3).sketch)
 
 
 @query(with_(GEO, _ENTROPY, [_ROWS, "coef AS (SELECT src, dst, coef * p_continue AS coef FROM pn JOIN p ON p.node = dst)", "fixed AS (SELECT node, label, p_inject * score AS score FROM seeds JOIN p USING (node) WHERE p_inject > 0)"], iterate(3)) + " SELECT node, label, round(score, 6) AS score FROM y3 WHERE round(score, 6) > 0")
@@ -374,6 +381,15 @@ def adsorption_t3(spark, sf_dir):
     return _scores(propagate(affine.adsorption(t.edges, t.seeds, "entropy", t.nodes), t.seeds, max_iter=3).scores).filter("score > 0")
 
 
+_ADSORB = [_ROWS, "coef AS (SELECT src, dst, coef * p_continue AS coef FROM pn JOIN p ON p.node = dst)", "fixed AS (SELECT node, label, p_inject * score AS score FROM seeds JOIN p USING (node) WHERE p_inject > 0)"]
+
+
+@query(with_(GEO, _ENTROPY, _ADSORB, sketched(3, SMALL)) + " SELECT node, cell, round(val, 6) AS val FROM s3 WHERE round(val, 6) > 0")
+def adsorption_sketch_t3(spark, sf_dir):
+    t = fx.geo(spark, sf_dir)
+    return _cells(propagate(affine.adsorption(t.edges, t.seeds, "entropy", t.nodes), t.seeds, store="sketch_cells", spec=SMALL, max_iter=3).sketch).filter("val > 0")
+
+
 _ABSORB = [SYM, "dg AS (SELECT dst, sum(w) AS deg FROM sym GROUP BY 1)", "coef AS (SELECT src, dst, w / (1.0::DOUBLE + deg) AS coef FROM sym JOIN dg USING (dst))", "fixed AS (SELECT node, label, score * 1.0::DOUBLE / (1.0::DOUBLE + coalesce(deg, 0)) AS score FROM seeds LEFT JOIN dg ON dst = node)"]
 
 
@@ -386,7 +402,7 @@ def absorbing_t3(spark, sf_dir):
 @query(with_(KB, _ABSORB, sketched(3, SMALL)) + " SELECT node, cell, round(val, 6) AS val FROM s3")
 def absorbing_sketch_t3(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    return _cells(propagate(affine.absorbing_walk(t.edges, t.seeds, 1.0), t.seeds, store="sketch", spec=SMALL, max_iter=3).sketch)
+    return _cells(propagate(affine.absorbing_walk(t.edges, t.seeds, 1.0), t.seeds, store="sketch_cells", spec=SMALL, max_iter=3).sketch)
 
 
 @query(with_(KB, [SYM, _ROWS, "coef AS (SELECT src, dst, 0.85::DOUBLE * coef AS coef FROM pn)", "fixed AS (SELECT node, label, (1.0::DOUBLE - 0.85::DOUBLE) * score AS score FROM seeds)"], iterate(3)) + " SELECT node, label, round(score, 6) AS score FROM y3")
@@ -402,6 +418,24 @@ def restart_sym_t2(spark, sf_dir):
     return y.select("node", "label", F.round(F.col("score") + 1e-11, 8).alias("score"))
 
 
+_RESTART = [SYM, _ROWS, "coef AS (SELECT src, dst, 0.85::DOUBLE * coef AS coef FROM pn)", "fixed AS (SELECT node, label, (1.0::DOUBLE - 0.85::DOUBLE) * score AS score FROM seeds)"]
+_RESTART_SYM = [SYM, "tot AS (SELECT dst, sum(w) AS t FROM sym GROUP BY 1)", "coef AS (SELECT s.src, s.dst, 0.85::DOUBLE * w / sqrt(a.t * b.t) AS coef FROM sym s JOIN tot a ON a.dst = s.dst JOIN tot b ON b.dst = s.src)", _RESTART[3]]
+
+
+@query(with_(KB, _RESTART, sketched(3, SMALL)) + " SELECT node, cell, round(val + 1e-11::DOUBLE, 8) AS val FROM s3")
+def restart_sketch_t3(spark, sf_dir):
+    t = fx.parts_kb(spark, sf_dir)
+    s = propagate(affine.restart_walk(t.edges, t.seeds, 0.85), t.seeds, store="sketch_block", spec=SMALL, max_iter=3).sketch
+    return s.select("node", F.col("cell").cast("long").alias("cell"), F.round(F.col("val") + 1e-11, 8).alias("val"))
+
+
+@query(with_(KB, _RESTART_SYM, sketched(2, SMALL)) + " SELECT node, cell, round(val + 1e-11::DOUBLE, 8) AS val FROM s2")
+def restart_sym_sketch_t2(spark, sf_dir):
+    t = fx.parts_kb(spark, sf_dir)
+    s = propagate(affine.restart_walk(t.edges, t.seeds, 0.85, "sym"), t.seeds, store="sketch_block", spec=SMALL, max_iter=2).sketch
+    return s.select("node", F.col("cell").cast("long").alias("cell"), F.round(F.col("val") + 1e-11, 8).alias("val"))
+
+
 # Measures ----------------------------------------------------------------------------------------------------------
 
 
@@ -420,6 +454,11 @@ def _mrr(scores: DataFrame, gold: DataFrame) -> DataFrame:
     return a.join(F.broadcast(ms.mrr(scores, gold, "min").select(F.round("mrr", 5).alias("mrr_min"))))
 
 
+def _mrr_sketched(run: PropagationResult, t: fx.Task, gold: DataFrame) -> DataFrame:
+    both = [ms.mrr_sketch(run.blocks, gold, t.labels, run.spec, ties, 10) for ties in ("max", "min")]
+    return both[0].select("nodes", F.round("mrr", 5).alias("mrr_max")).join(F.broadcast(both[1].select(F.round("mrr", 5).alias("mrr_min"))))
+
+
 _R10 = lambda of, col="score": f"z AS (SELECT node, label, round({col}, 10) AS score FROM {of} WHERE round({col}, 10) > 0)"
 
 
@@ -435,29 +474,93 @@ def _mrr_sketch(width: int, depth: int):
     @query(with_(KB, ma(), sketched(3, spec), _all_estimates("s3", spec), [_HOLD, _R10("est", "estimate")]) + _mrr_sql("z"), name=f"mrr_sketch_{width}x{depth}")
     def run(spark, sf_dir):
         t = fx.parts_kb(spark, sf_dir)
-        return _mrr(dec.decode_all(sketch(spark, sf_dir, 3, spec), t.labels, spec), seeds.holdout(t.gold, t.seeds))
+        return _mrr_sketched(sketched_run(spark, sf_dir, 3, spec), t, seeds.holdout(t.gold, t.seeds))
 
 
 for _w, _d in fx.SIZES:
     _mrr_sketch(_w, _d)
 
 
-def _error_sql(spec) -> str:
-    return with_(KB, ma(), iterate(3), sketched(3, spec), [_HOLD, estimates("e", "hold", "s3", spec)])
+def _error_sql(spec, eps: float) -> str:
+    every = "every AS (SELECT node, label FROM nodes, dict)"
+    return with_(KB, ma(), iterate(3), sketched(3, spec), [every, estimates("e", "every", "s3", spec), "gaps AS (SELECT e.estimate - coalesce(y.score, 0) AS gap FROM e LEFT JOIN y3 y ON y.node = e.node AND y.label = e.label)"]) + f" SELECT count(*) AS pairs, round(max(gap), 6) AS max_over, round(least(min(gap), 0.0), 6) + 0.0 AS min_over, sum(CASE WHEN gap > {eps} THEN 1 ELSE 0 END)::BIGINT AS violations FROM gaps"
 
 
-@query(_error_sql(SMALL) + " SELECT round(max(e.estimate - coalesce(y.score, 0)), 6) AS max_over, round(least(min(e.estimate - coalesce(y.score, 0)), 0), 6) + 0.0 AS min_over FROM e LEFT JOIN y3 y ON y.node = e.node AND y.label = e.label")
-def approximation_error(spark, sf_dir):
+def _errors(spark, sf_dir, spec, eps: float) -> DataFrame:
+    """Over all nodes and all labels, those without a score included."""
     t = fx.parts_kb(spark, sf_dir)
-    out = ms.approximation_error(sketch(spark, sf_dir, 3, SMALL), exact(spark, sf_dir, 3), seeds.holdout(t.gold, t.seeds), SMALL, 0.05)
-    return out.select(r6("max_over").alias("max_over"), r6(F.least("min_over", F.lit(0.0))).alias("min_over"))
+    out = ms.approximation_error(sketched_run(spark, sf_dir, 3, spec).blocks, exact(spark, sf_dir, 3), t.labels, spec, eps, t.nodes.count())
+    return out.select("pairs", r6("max_over").alias("max_over"), r6(F.least("min_over", F.lit(0.0))).alias("min_over"), "violations")
+
+
+@query(_error_sql(SMALL, 0.05))
+def approximation_error(spark, sf_dir):
+    return _errors(spark, sf_dir, SMALL, 0.05)
 
 
-@query(_error_sql(WIDE) + " SELECT count(*) AS pairs, sum(CASE WHEN e.estimate - coalesce(y.score, 0) > 0.05 THEN 1 ELSE 0 END)::BIGINT AS violations FROM e LEFT JOIN y3 y ON y.node = e.node AND y.label = e.label")
+@query(_error_sql(WIDE, 0.05))
 def bound_violations(spark, sf_dir):
+    return _errors(spark, sf_dir, WIDE, 0.05)
+
+
+ITERATIONS = 10
+
+
+def _row_sql(config: str, scores: str, cells: int, states: list[str]) -> str:
+    size = f"(SELECT avg(n) FROM ({' UNION ALL '.join(f'SELECT count(*) AS n FROM {x}' for x in states)}))"
+    held = f"{size} * 16" if not cells else f"(SELECT count(*) FROM nodes) * {8.0 * cells}"
+    return f"SELECT '{config}' AS config, *, round({size}, 1) AS mean_entries, round({held}, 1) AS mean_bytes FROM ({_mrr_sql(scores)})"
+
+
+def _effectiveness_sql() -> str:
+    parts, rows = [KB, ma(), iterate(ITERATIONS), [_HOLD, _R10(f"y{ITERATIONS}").replace("z AS", "ze AS")]], [_row_sql("exact", "ze", 0, [f"y{t}" for t in range(1, ITERATIONS + 1)])]
+    for i, (w, d) in enumerate(fx.SIZES):
+        spec = fx.spec(w, d)
+        steps = [x.replace("sfixed", f"f{i}_").replace("q AS", f"q{i}_ AS").replace("FROM q)", f"FROM q{i}_)") for x in sketched(ITERATIONS, spec, f"s{i}_")]
+        decode = [x.replace("idx", f"idx{i}").replace("est AS", f"est{i} AS") for x in _all_estimates(f"s{i}_{ITERATIONS}", spec)]
+        parts += [steps, decode, [_R10(f"est{i}", "estimate").replace("z AS", f"z{i} AS")]]
+        rows.append(_row_sql(f"{w}x{d}", f"z{i}", spec.cells, [f"s{i}_{t}" for t in range(1, ITERATIONS + 1)]))
+    return with_(*parts) + " " + " UNION ALL ".join(rows)
+
+
+@query(_effectiveness_sql())
+def effectiveness(spark, sf_dir):
+    """The five configurations after 10 iterations: accuracy of held-out classes, entries and bytes of the state, averaged
+    over the iterations (long rows of 16 bytes for exact scores, arrays for sketches). Seconds are in the bench."""
     t = fx.parts_kb(spark, sf_dir)
-    out = ms.errors(sketch(spark, sf_dir, 3, WIDE), exact(spark, sf_dir, 3), seeds.holdout(t.gold, t.seeds), WIDE)
-    return out.agg(F.count(F.lit(1)).alias("pairs"), F.sum(F.when(F.col("error") > 0.05, 1).otherwise(0)).alias("violations"))
+    gold, n, out = seeds.holdout(t.gold, t.seeds), t.nodes.count(), None
+    for w, d in ((0, 0), *fx.SIZES):
+        run = exact_run(spark, sf_dir, ITERATIONS) if not w else fx.held(spark, sf_dir, f"full-{w}x{d}", lambda w=w, d=d: propagate(ma_plan(t), t.seeds, store="sketch_block", spec=fx.spec(w, d), max_iter=ITERATIONS, trace=True))
+        entries = sum(r["state_entries"] for r in run.trace[1:]) / ITERATIONS
+        row = _mrr(run.scores, gold) if not w else _mrr_sketched(run, t, gold)
+        held = entries * 16 if not w else n * 8.0 * w * d
+        row = row.select(F.lit(f"{w}x{d}" if w else "exact").alias("config"), "*", F.round(F.lit(entries), 1).alias("mean_entries"), F.round(F.lit(float(held)), 1).alias("mean_bytes"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
+@query(with_(KB_NOISY, ma(), iterate(3), [_HOLD, _R10("y3")]) + _mrr_sql("z"))
+def mrr_noisy(spark, sf_dir):
+    """The parts graph with the parts' sizes as further, misleading attributes."""
+    t = fx.parts_kb(spark, sf_dir, noise=True)
+    y = propagate(ma_plan(t), t.seeds, store="exact_dense", labels=t.m, max_iter=3).scores
+    return _mrr(y, seeds.holdout(t.gold, t.seeds))
+
+
+_VOTES = [SYM, "one AS (SELECT dst AS node, label, sum(w * score) AS score FROM sym JOIN seeds ON node = src GROUP BY 1, 2)", "two AS (SELECT dst AS node, label, sum(w * score) AS score FROM sym JOIN one ON node = src GROUP BY 1, 2)", "z AS (SELECT node, label, sum(score) AS score FROM (SELECT * FROM one UNION ALL SELECT * FROM two) GROUP BY 1, 2)"]
+_CHANCE = """SELECT 'random' AS control, sum(n)::BIGINT AS nodes, round(sum(n * p) / sum(n), 5) AS mrr FROM (
+    SELECT g, n, sum(exp(lgamma(m - r + 1) - lgamma(g) - lgamma(m - r - g + 2) - lgamma(m + 1) + lgamma(g + 1) + lgamma(m - g + 1)) / r) AS p
+    FROM (SELECT g, count(*) AS n FROM (SELECT node, count(DISTINCT label) AS g FROM hold GROUP BY 1) GROUP BY 1), (SELECT count(*) AS m FROM dict), (SELECT unnest(range(1, (SELECT count(*) + 1 FROM dict))) AS r) WHERE r <= m - g + 1 GROUP BY 1, 2)"""
+
+
+@query(with_(KB, [_HOLD, *_VOTES]) + f" {_CHANCE} UNION ALL SELECT 'neighbours', nodes, mrr_max FROM ({_mrr_sql('z')})")
+def controls(spark, sf_dir):
+    """What a random ranking and a vote of the seeds one attribute away reach on the parts workload."""
+    t = fx.parts_kb(spark, sf_dir)
+    gold = seeds.holdout(t.gold, t.seeds)
+    rows = [("random", ms.random_mrr(gold, t.m)), ("neighbours", ms.mrr(ms.one_hop_votes(t.edges, t.seeds), gold, "max"))]
+    chance, votes = (df.select(F.lit(name).alias("control"), F.col("nodes").cast("long").alias("nodes"), F.round("mrr", 5).alias("mrr")) for name, df in rows)
+    return chance.unionByName(votes)
 
 
 @query(with_(KB, ma(), iterate(3)) + " " + " UNION ALL ".join(f"SELECT {i}::BIGINT AS iter, round(max(s), 6) AS max_norm FROM (SELECT sum(score) AS s FROM y{i} GROUP BY node)" for i in range(4)))
@@ -478,13 +581,13 @@ def event_scores(spark, sf_dir, steps: int) -> DataFrame:
     return fx.held(spark, sf_dir, f"events{steps}", make)
 
 
-def _growth(spark, sf_dir, start: str) -> DataFrame:
+def _growth(spark, sf_dir) -> DataFrame:
     t = fx.events(spark, sf_dir)
     spec = fx.spec(55, 12)
-    out = None
+    n, out = t.nodes.count(), None
     for i in range(3):
         y = t.seeds if i == 0 else event_scores(spark, sf_dir, i)
-        row = ms.state_size(y, "exact_long").select(F.lit(i).cast("long").alias("iter"), "entries", "bytes", F.lit(spec.cells * 8 * t.nodes.count()).cast("long").alias("sketch_bytes"))
+        row = ms.state_size(y, "exact_long").select(F.lit(i).cast("long").alias("iter"), "entries", "bytes", F.lit(spec.cells * 8 * n).cast("long").alias("sketch_bytes"))
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -494,7 +597,7 @@ _GROW = with_(EVENTS, ma(), iterate(2)) + " " + " UNION ALL ".join(f"SELECT {i}:
 
 @query(_GROW)
 def self_injection_growth(spark, sf_dir):
-    return _growth(spark, sf_dir, "seeds")
+    return _growth(spark, sf_dir)
 
 
 @query(with_(KB, ma(), iterate(3)) + " " + " UNION ALL ".join(f"SELECT {i}::BIGINT AS iter, count(*) AS entries, count(*) * 16 AS bytes, (SELECT count(*) FROM nodes) * {WIDE.cells * 8} AS sketch_bytes FROM y{i}" for i in range(4)))
@@ -531,6 +634,60 @@ def store_choice(spark, sf_dir):
     return spark.createDataFrame(rows, "fixture string, m long, c long, est_nnz double, choice string")
 
 
+def curve(t: fx.Task, spec, exact_steps: int, sketch_steps: int, budget: int | None = None) -> list[tuple]:
+    """(method, iter, entries, bytes, outcome) of exact rows, until they outgrow ``budget`` bytes, and of sketched arrays."""
+    plan, out = ma_plan(t), []
+    try:
+        exact_trace = propagate(plan, t.seeds, max_iter=exact_steps, trace=budget is None, budget=budget // 16 if budget else None).trace if exact_steps else []
+    except StateBudgetExceeded as e:
+        exact_trace = e.trace if e.trace[-1]["iter"] == e.iteration else [*e.trace, {"iter": e.iteration, "state_entries": e.entries}]
+        exact_trace[-1]["outcome"] = "over budget"
+    for r in exact_trace:
+        out.append(("exact", r["iter"], r["state_entries"], 16 * r["state_entries"], r.get("outcome", "kept")))
+    found = propagate(plan, t.seeds, store="sketch_block", spec=spec, max_iter=sketch_steps, trace=True).trace
+    n = t.nodes.count()
+    return out + [("sketch", r["iter"], r["state_entries"], 8 * spec.cells * n, "kept") for r in found]
+
+
+_CURVE = "method string, iter long, entries long, bytes long, outcome string"
+
+
+def _curve_sql(task: list[str], spec, exact_steps: int, sketch_steps: int) -> str:
+    """Sketched states are the encoded exact ones (encoding commutes with the update)."""
+    codes = [encoded(f"c{t}", f"y{t}", spec) for t in range(sketch_steps + 1)]
+    rows = [f"SELECT 'exact' AS method, {t}::BIGINT AS iter, count(*) AS entries, count(*) * 16 AS bytes, 'kept' AS outcome FROM y{t}" for t in range(exact_steps + 1)]
+    rows += [f"SELECT 'sketch', {t}, count(*), (SELECT count(*) FROM nodes) * {8 * spec.cells}, 'kept' FROM c{t}" for t in range(sketch_steps + 1)]
+    return with_(task, ma(), iterate(max(exact_steps, sketch_steps)), codes) + " " + " UNION ALL ".join(rows)
+
+
+FEW, MANY = fx.spec(55, 12), fx.spec(55, 17)
+
+
+@query(_curve_sql(FEW_EVENTS, FEW, 2, 2))
+def few_labels_curve_t2(spark, sf_dir):
+    return spark.createDataFrame(curve(fx.few_events(spark, sf_dir), FEW, 2, 2), _CURVE)
+
+
+@query()
+def few_labels_curve(spark, sf_dir):
+    """The smaller self-injection graph: 10 iterations of the sketch, exact rows as far as the sketch's bytes go."""
+    t = fx.few_events(spark, sf_dir)
+    return spark.createDataFrame(curve(t, FEW, 10, 10, 8 * FEW.cells * t.nodes.count()), _CURVE)
+
+
+@query(_curve_sql(ORDERS, MANY, 2, 2))
+def many_labels_curve_t2(spark, sf_dir):
+    return spark.createDataFrame(curve(fx.order_items(spark, sf_dir), MANY, 2, 2), _CURVE)
+
+
+@query()
+def many_labels_curve(spark, sf_dir):
+    """The larger self-injection graph, one label an order: 20 iterations of the sketch, flat; exact rows start smaller and
+    are stopped when they outgrow the sketch's bytes."""
+    t = fx.order_items(spark, sf_dir)
+    return spark.createDataFrame(curve(t, MANY, 20, 20, 8 * MANY.cells * t.nodes.count()), _CURVE)
+
+
 _PROFILE = ["rk AS (SELECT row_number() OVER (PARTITION BY node ORDER BY score DESC, label) AS rank, score FROM y3)", "pf AS (SELECT rank, sum(score) / (SELECT count(*) FROM nodes)::DOUBLE AS mean_score FROM rk WHERE rank <= 256 GROUP BY 1)"]
 
 
@@ -540,6 +697,25 @@ def skew_profile(spark, sf_dir):
     return ms.skew_profile(exact(spark, sf_dir, 3), t.nodes.count()).select(F.col("rank").cast("long").alias("rank"), F.round("mean_score", 7).alias("mean_score"), F.round("reference", 7).alias("reference"))
 
 
+_FEW_PROFILE = [x.replace("y3", "y2") for x in _PROFILE]
+
+
+def _few_profile(spark, sf_dir) -> DataFrame:
+    t = fx.few_events(spark, sf_dir)
+    y = fx.held(spark, sf_dir, "few2", lambda: cut(propagate(ma_plan(t), t.seeds, max_iter=2).scores, "few"))
+    return ms.skew_profile(y, t.nodes.count())
+
+
+@query(with_(FEW_EVENTS, ma(), iterate(2), _FEW_PROFILE) + " SELECT rank::BIGINT AS rank, round(mean_score, 7) AS mean_score, round((SELECT mean_score FROM pf WHERE rank = 1) / rank, 7) AS reference FROM pf")
+def skew_profile_few_labels(spark, sf_dir):
+    return _few_profile(spark, sf_dir).select(F.col("rank").cast("long").alias("rank"), F.round("mean_score", 7).alias("mean_score"), F.round("reference", 7).alias("reference"))
+
+
+@query(with_(FEW_EVENTS, ma(), iterate(2), _FEW_PROFILE) + " SELECT round(-regr_slope(ln(mean_score), ln(rank)), 4) AS z FROM pf WHERE mean_score > 0")
+def zipf_exponent_few_labels(spark, sf_dir):
+    return ms.zipf_exponent(_few_profile(spark, sf_dir)).select(F.round("z", 4).alias("z"))
+
+
 @query(with_(KB, ma(), iterate(3), _PROFILE) + " SELECT round(-regr_slope(ln(mean_score), ln(rank)), 4) AS z FROM pf WHERE mean_score > 0")
 def zipf_exponent(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
@@ -577,9 +753,9 @@ def max_conductance(spark, sf_dir):
 _WALK = [*_COMM, "tr AS (SELECT s.src, s.dst, s.w / t.t AS p FROM sym s JOIN (SELECT src, sum(w) AS t FROM sym GROUP BY 1) t USING (src) JOIN cm a ON a.node = s.src JOIN cm b ON b.node = s.dst WHERE a.community = b.community)", "w0 AS (SELECT node, 1.0::DOUBLE AS stay FROM cm)"] + [f"w{t} AS (SELECT c.node, coalesce(sum(tr.p * w.stay), 0.0) AS stay FROM cm c LEFT JOIN tr ON tr.src = c.node LEFT JOIN w{t - 1} w ON w.node = tr.dst GROUP BY 1)" for t in (1, 2, 3)]
 
 
-@query(with_(GEO, _WALK) + " SELECT node, round(1 - stay, 6) + 0.0 AS mass FROM w3")
+@query(with_(GEO, _WALK, ["ps AS (SELECT community, max(out / vol) AS psi FROM bd GROUP BY 1)"]) + " SELECT node, round(1 - stay, 6) + 0.0 AS mass, round(psi, 6) + 0.0 AS psi, round(1 - power(1 - psi, 3), 6) + 0.0 AS bound FROM w3 JOIN cm USING (node) JOIN ps USING (community)")
 def escape_mass(spark, sf_dir):
-    return ms.escape_mass(fx.geo(spark, sf_dir).edges, regions(spark, sf_dir), 3).select("node", r6("mass").alias("mass"))
+    return ms.escape_mass(fx.geo(spark, sf_dir).edges, regions(spark, sf_dir), 3).select("node", *[r6(c).alias(c) for c in ("mass", "psi", "bound")])
 
 
 @query(with_(KB, [*ma()[:3], f"fixed AS (SELECT node, label, {MU1}::DOUBLE * s / m_vv AS score FROM seeds JOIN m USING (node))"], iterate(2)) + " SELECT node, label, round(score, 6) AS mass FROM y2")
@@ -588,20 +764,89 @@ def reach_mass(spark, sf_dir):
     return ms.reach_mass(ma_plan(t), t.seeds, 2).select("node", "label", r6("mass").alias("mass"))
 
 
+_REACH = [f"reach_fixed AS (SELECT node, label, {MU1}::DOUBLE * s / m_vv AS score FROM seeds JOIN m USING (node))", "ones AS (SELECT node, label, 1.0::DOUBLE AS score FROM seeds)", *iterate(2, start="ones", fixed="reach_fixed", prefix="r")]
+
+
+@query(with_(KB, ma(), iterate(2), _REACH) + " SELECT count(*) AS pairs, sum(CASE WHEN coalesce(y.score, 0) > coalesce(r.score, 0) + 1e-12::DOUBLE THEN 1 ELSE 0 END)::BIGINT AS violations FROM y2 y FULL JOIN r2 r ON r.node = y.node AND r.label = y.label")
+def reach_bound(spark, sf_dir):
+    """Scores against the weight of walks that end at the label's seeds: none is larger."""
+    t = fx.parts_kb(spark, sf_dir)
+    mass = ms.reach_mass(ma_plan(t), t.seeds, 2)
+    both = exact(spark, sf_dir, 2).join(mass, ["node", "label"], "full")
+    over = F.coalesce("score", F.lit(0.0)) > F.coalesce("mass", F.lit(0.0)) + 1e-12
+    return both.agg(F.count(F.lit(1)).alias("pairs"), F.sum(F.when(over, 1).otherwise(0)).alias("violations"))
+
+
+#: The planted graph: cliques in a ring; psi, and the share eta of it that the error may reach.
+PLANTED = {"blocks": 8, "size": 6, "eta": 0.3, "steps": 10}
+
+
+def _planted_sql(psi: float) -> str:
+    b, n, eta, steps = (PLANTED[k] for k in ("blocks", "size", "eta", "steps"))
+    size = sizing.size_community(n, psi, eta * psi, b * n, 0.1)
+    spec = fx.spec(size.width, size.depth)
+    cross = psi * (n - 1) / (1 - psi) / 2
+    task = [
+        f"nodes AS (SELECT unnest(range({b * n}))::BIGINT AS node)",
+        f"edges AS (SELECT a.node AS src, b.node AS dst, 1.0::DOUBLE AS w FROM nodes a JOIN nodes b ON a.node // {n} = b.node // {n} AND a.node < b.node UNION ALL SELECT DISTINCT least(node, other), greatest(node, other), {cross}::DOUBLE FROM (SELECT node, (node // {n} + 1) % {b} * {n} + node % {n} AS other FROM nodes))",
+        "seeds AS (SELECT node, node AS label, 1.0::DOUBLE AS score FROM nodes)",
+        "every AS (SELECT a.node, b.node AS label FROM nodes a, nodes b)",
+    ]
+    last = f"s{steps}"
+    out = f"SELECT {psi}::DOUBLE AS psi, {size.width}::BIGINT AS width, {size.depth}::BIGINT AS depth, round(max(e.estimate - coalesce(y.score, 0)), 6) AS max_over, round({eta * psi}::DOUBLE, 6) AS bound, max(e.estimate - coalesce(y.score, 0)) <= {eta * psi}::DOUBLE AS holds FROM e LEFT JOIN y{steps} y ON y.node = e.node AND y.label = e.label"
+    return "SELECT * FROM (" + with_(task, ma(), iterate(steps), sketched(steps, spec), [estimates("e", "every", last, spec)]) + " " + out + ")"
+
+
+@query(" UNION ALL ".join(_planted_sql(psi) for psi in (0.05, 0.2)))
+def community_bound(spark, sf_dir):
+    """Planted communities: sketches sized by max-conductance psi keep their error within eta psi."""
+    b, n, eta, steps = (PLANTED[k] for k in ("blocks", "size", "eta", "steps"))
+    out = None
+    for psi in (0.05, 0.2):
+        g, _ = graphs.planted_blocks(spark, b, n, psi)
+        size = sizing.size_community(n, psi, eta * psi, b * n, 0.1)
+        own = g.nodes.select("node", F.col("node").alias("label"), F.lit(1.0).alias("score"))
+        plan, spec = affine.modified_adsorption(g.edges, own, fx.MU, g.nodes), fx.spec(size.width, size.depth)
+        y, s = (propagate(plan, own, store=store, labels=b * n, spec=spec, max_iter=steps) for store in ("exact_dense", "sketch_block"))
+        row = ms.approximation_error(s.blocks, y.scores, own.select("label"), spec, eta * psi)
+        row = row.select(F.lit(psi).alias("psi"), F.lit(size.width).cast("long").alias("width"), F.lit(size.depth).cast("long").alias("depth"), r6("max_over").alias("max_over"), r6(F.lit(eta * psi)).alias("bound"), (F.col("max_over") <= eta * psi).alias("holds"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 # Workloads -----------------------------------------------------------------------------------------------------------
 
 _BEST = "best AS (SELECT node, label FROM (SELECT node, label, row_number() OVER (PARTITION BY node ORDER BY score DESC, label) AS r FROM z) WHERE r = 1)"
 
 
-@query(with_(DOCS, ma(), iterate(3), [_HOLD, _R10("y3"), _BEST]) + " SELECT d.name AS lang, count(*) AS nodes, round(avg(CASE WHEN b.label = h.label THEN 1.0::DOUBLE ELSE 0.0 END), 5) AS accuracy FROM hold h JOIN dict d USING (label) LEFT JOIN best b ON b.node = h.node GROUP BY 1")
-def lang_classify(spark, sf_dir):
+def _classes_sql(task: list[str], name: str) -> str:
+    rank = "rk AS (SELECT h.node, h.label, CASE WHEN o.score IS NULL THEN 0.0 ELSE 1.0::DOUBLE / sum(CASE WHEN v.score >= o.score THEN 1 ELSE 0 END) END AS reciprocal FROM hold h LEFT JOIN z o ON o.node = h.node AND o.label = h.label LEFT JOIN z v ON v.node = h.node GROUP BY h.node, h.label, o.score)"
+    return with_(task, ma(), iterate(3), [_HOLD, _R10("y3"), _BEST, rank]) + f" SELECT d.name AS {name}, count(*) AS nodes, round(avg(CASE WHEN b.label = h.label THEN 1.0::DOUBLE ELSE 0.0 END), 5) AS accuracy, round(avg(rk.reciprocal), 5) AS mrr FROM hold h JOIN dict d USING (label) JOIN rk ON rk.node = h.node AND rk.label = h.label LEFT JOIN best b ON b.node = h.node GROUP BY 1"
+
+
+def _classes(spark, sf_dir, by: str) -> DataFrame:
+    """Accuracy of the best label and mean reciprocal rank by class of documents."""
     from pyspark.sql import Window
 
-    t = fx.docs(spark, sf_dir)
-    y = propagate(ma_plan(t), t.seeds, max_iter=3).scores.withColumn("score", F.round("score", 10)).filter("score > 0")
+    t = fx.docs(spark, sf_dir, by)
+    y = propagate(ma_plan(t), t.seeds, store="exact_dense", labels=t.m, max_iter=3).scores.withColumn("score", F.round("score", 10)).filter("score > 0")
+    y = cut(y, "classes")
     best = y.withColumn("r", F.row_number().over(Window.partitionBy("node").orderBy(F.desc("score"), "label"))).filter("r = 1").select("node", F.col("label").alias("got"))
-    out = seeds.holdout(t.gold, t.seeds).join(t.labels, "label").join(best, "node", "left")
-    return out.groupBy(F.col("name").alias("lang")).agg(F.count(F.lit(1)).alias("nodes"), F.round(F.avg(F.when(F.col("got") == F.col("label"), 1.0).otherwise(0.0)), 5).alias("accuracy"))
+    gold = seeds.holdout(t.gold, t.seeds)
+    out = ms.gold_ranks(y, gold).join(t.labels, "label").join(best, "node", "left")
+    right = F.avg(F.when(F.col("got") == F.col("label"), 1.0).otherwise(0.0))
+    return out.groupBy(F.col("name").alias(by)).agg(F.count(F.lit(1)).alias("nodes"), F.round(right, 5).alias("accuracy"), F.round(F.avg(F.coalesce(1 / F.col("rank"), F.lit(0.0))), 5).alias("mrr"))
+
+
+@query(_classes_sql(DOCS, "lang"))
+def lang_classify(spark, sf_dir):
+    return _classes(spark, sf_dir, "lang")
+
+
+@query(_classes_sql(tokens_fixture("documents", "doc_id", graphs.WORD, "source", 5), "source"))
+def source_classify(spark, sf_dir):
+    """The negative control: sources say nothing about the words of a document."""
+    return _classes(spark, sf_dir, "source")
 
 
 FLAGS = [*DOCS[:5], "members AS (SELECT doc_id AS node, 'quality' AS name FROM labels WHERE quality = 1 UNION ALL SELECT doc_id, 'toxic' FROM labels WHERE toxic = 1)", *DOCS[6:8], DOCS[8].replace("r <= 5", "r <= 10")]
@@ -625,17 +870,40 @@ def passage_pairs(spark, sf_dir):
     return graphs.passage_pairs(spark, sf_dir)
 
 
-@query(with_([*_PASSAGE, "base AS (SELECT max(item_id) + 1 AS b FROM benchmark)", "edges AS (SELECT item_id AS src, doc_id + b AS dst, n::DOUBLE AS w FROM shared, base)", "nodes AS (SELECT item_id AS node FROM benchmark UNION ALL SELECT doc_id + b FROM documents, base)", "seeds AS (SELECT item_id AS node, row_number() OVER (ORDER BY item_id) - 1 AS label, 1.0::DOUBLE AS score FROM benchmark)"], ma(), iterate(2))
-       + " SELECT y.node - (SELECT b FROM base) AS doc_id, s.node AS item_id, round(y.score, 6) AS score FROM y2 y JOIN seeds s USING (label) WHERE y.node >= (SELECT b FROM base)")
+_LINKED = [*_PASSAGE, "base AS (SELECT max(item_id) + 1 AS b FROM benchmark)", "edges AS (SELECT item_id AS src, doc_id + b AS dst, n::DOUBLE AS w FROM shared, base)", "nodes AS (SELECT item_id AS node FROM benchmark UNION ALL SELECT doc_id + b FROM documents, base)", "seeds AS (SELECT item_id AS node, row_number() OVER (ORDER BY item_id) - 1 AS label, 1.0::DOUBLE AS score FROM benchmark)"]
+_RANKED = "SELECT y.node - (SELECT b FROM base) AS doc_id, s.node AS item_id, round(y.score, 6) AS score FROM y2 y JOIN seeds s USING (label) WHERE y.node >= (SELECT b FROM base)"
+
+
+def _retrieved(spark, sf_dir) -> DataFrame:
+    """doc_id, item_id, score of documents linked to benchmark items by shared runs of words."""
+
+    def make():
+        g = graphs.passage_links(spark, sf_dir)
+        items = g.nodes.filter("kind = 'item'").select("node")
+        q = cut(seeds.self_injection(items), "items")
+        nodes, edges = cut(g.nodes, "nodes"), cut(g.edges, "edges")
+        y = propagate(affine.modified_adsorption(edges, q, fx.MU, nodes), q, max_iter=2).scores
+        base = items.agg(F.max("node")).first()[0] + 1
+        named = y.join(q.select("label", F.col("node").alias("item_id")), "label").filter(F.col("node") >= base)
+        return cut(named.select((F.col("node") - base).alias("doc_id"), "item_id", r6("score").alias("score")), "retrieved")
+
+    return fx.held(spark, sf_dir, "retrieved", make)
+
+
+@query(with_(_LINKED, ma(), iterate(2)) + " " + _RANKED)
 def passage_retrieval(spark, sf_dir):
-    g = graphs.passage_links(spark, sf_dir)
-    items = g.nodes.filter("kind = 'item'").select("node")
-    q = cut(seeds.self_injection(items), "items")
-    nodes, edges = cut(g.nodes, "nodes"), cut(g.edges, "edges")
-    y = propagate(affine.modified_adsorption(edges, q, fx.MU, nodes), q, max_iter=2).scores
-    base = items.agg(F.max("node")).first()[0] + 1
-    named = y.join(q.select("label", F.col("node").alias("item_id")), "label").filter(F.col("node") >= base)
-    return named.select((F.col("node") - base).alias("doc_id"), "item_id", r6("score").alias("score"))
+    return _retrieved(spark, sf_dir)
+
+
+@query(with_(_LINKED, ma(), iterate(2), [f"found AS ({_RANKED})", "gold AS (SELECT item_id, doc_id FROM shared JOIN benchmark b USING (item_id) JOIN documents d USING (doc_id) WHERE contains(d.text, b.text))", "ranked AS (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, doc_id) AS r FROM found)"])
+       + " SELECT g.item_id, count(*) AS gold, round(avg(CASE WHEN r <= 1 THEN 1.0::DOUBLE ELSE 0.0 END), 5) AS recall_at_1, round(avg(CASE WHEN r <= 10 THEN 1.0::DOUBLE ELSE 0.0 END), 5) AS recall_at_10, round(coalesce(1.0::DOUBLE / min(r), 0.0), 5) AS mrr FROM gold g LEFT JOIN ranked k ON k.item_id = g.item_id AND k.doc_id = g.doc_id GROUP BY 1")
+def retrieval_measures(spark, sf_dir):
+    """For each item, how well the ranking finds the documents that hold it word for word."""
+    items, docs = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("item")), table(spark, sf_dir, "documents").select("doc_id", "text")
+    gold = graphs.passage_pairs(spark, sf_dir).select("item_id", "doc_id").join(items, "item_id").join(docs, "doc_id").filter(F.contains("text", "item"))
+    found = _retrieved(spark, sf_dir).select(F.col("item_id").alias("item"), F.col("doc_id").alias("doc"), "score")
+    out = ms.retrieval(found, gold.select(F.col("item_id").alias("item"), F.col("doc_id").alias("doc")))
+    return out.select(F.col("item").alias("item_id"), "gold", *[F.round(c, 5).alias(c) for c in ("recall_at_1", "recall_at_10")], F.round("reciprocal", 5).alias("mrr"))
 
 
 _HOSTS = [

@@ -246,7 +246,7 @@ def nodes_without_scores(spark, sf_dir):
 
 
 TOKENS = f"""pairs AS (SELECT doc_id, unnest(list_distinct(regexp_extract_all(lower(text), '{graphs.WORD}'))) AS token FROM documents),
-df AS (SELECT token FROM pairs GROUP BY token HAVING count(*) BETWEEN 2 AND 50)"""
+df AS (SELECT token FROM pairs GROUP BY token HAVING count(*) BETWEEN 2 AND (SELECT greatest(2, floor(0.05::DOUBLE * count(*) + 1e-9)) FROM documents))"""
 
 
 @query(f"WITH {TOKENS} SELECT doc_id AS id, token FROM pairs JOIN df USING (token)")
@@ -328,3 +328,12 @@ def score_matrix_pivot(spark, sf_dir):
 @query(with_(KB) + " SELECT node, label FROM seeds")
 def seed_sample(spark, sf_dir):
     return fx.parts_kb(spark, sf_dir).seeds.select("node", "label")
+
+
+@query()
+def knn_recall(spark, sf_dir):
+    """vectors, recall: the share of the exact five nearest that the bucketed search finds."""
+    exact = graphs.knn_pairs(spark, sf_dir).select("src", "dst")
+    found = graphs.lsh_neighbours(spark, sf_dir).select(F.col("src").alias("s_"), F.col("dst").alias("d_"))
+    both = exact.join(found, (F.col("src") == F.col("s_")) & (F.col("dst") == F.col("d_")), "left")
+    return both.agg(F.countDistinct("src").alias("vectors"), F.round(F.avg(F.when(F.col("s_").isNotNull(), 1.0).otherwise(0.0)), 4).alias("recall"))

@@ -28,9 +28,11 @@ KB = [
     "nodes AS (SELECT p_partkey AS node, 'part' AS kind FROM part UNION ALL SELECT node, kind FROM anodes)",
     "members AS (SELECT p_partkey AS node, 'bt|' || p_brand || '|' || p_type AS name FROM part UNION ALL SELECT p_partkey, 'nm|' || p_name FROM part)",
     *_DICT,
-    _draw("(SELECT CASE WHEN count(*) < 1000 THEN 1 WHEN count(*) < 10000 THEN 2 ELSE 10 END FROM part)"),
+    _draw("(SELECT CASE WHEN count(*) < 1000 THEN 1 ELSE 10 END FROM part)"),
 ]
 
+KB_NOISY = [KB[0].replace(" FROM part)", " FROM part UNION ALL SELECT p_partkey, 'size', p_size::VARCHAR FROM part)") if i == 0 else t for i, t in enumerate(KB)]
+
 GEO = [
     f"""edges AS (SELECT n_nationkey + {GEO_BASE['nation']}::BIGINT AS src, n_regionkey + {GEO_BASE['region']}::BIGINT AS dst, 1.0::DOUBLE AS w FROM nation
     UNION ALL SELECT c_custkey + {GEO_BASE['customer']}, c_nationkey + {GEO_BASE['nation']}, 1.0 FROM customer
@@ -42,19 +44,34 @@ GEO = [
     _draw("10"),
 ]
 
-EVENTS = [
-    "pairs AS (SELECT event_id AS src, 'k' AS kind, json_extract_string(props, '$.k') AS key FROM events UNION ALL SELECT event_id, 'user', user_id::VARCHAR FROM events)",
-    "anodes AS (SELECT kind, key, (SELECT max(event_id) FROM events) + row_number() OVER (ORDER BY kind, key) AS node FROM (SELECT DISTINCT kind, key FROM pairs WHERE key IS NOT NULL))",
-    "edges AS (SELECT a.src, n.node AS dst, 1.0::DOUBLE AS w FROM pairs a JOIN anodes n USING (kind, key))",
-    "nodes AS (SELECT event_id AS node, 'event' AS kind FROM events UNION ALL SELECT node, kind FROM anodes)",
-    "seeds AS (SELECT event_id AS node, row_number() OVER (ORDER BY event_id) - 1 AS label, 1.0::DOUBLE AS score FROM events)",
+def _events(rows: str) -> list[str]:
+    return [
+        f"rows AS ({rows})",
+        "pairs AS (SELECT event_id AS src, 'k' AS kind, json_extract_string(props, '$.k') AS key FROM rows UNION ALL SELECT event_id, 'user', user_id::VARCHAR FROM rows)",
+        "anodes AS (SELECT kind, key, (SELECT max(event_id) FROM rows) + row_number() OVER (ORDER BY kind, key) AS node FROM (SELECT DISTINCT kind, key FROM pairs WHERE key IS NOT NULL))",
+        "edges AS (SELECT a.src, n.node AS dst, 1.0::DOUBLE AS w FROM pairs a JOIN anodes n USING (kind, key))",
+        "nodes AS (SELECT event_id AS node, 'event' AS kind FROM rows UNION ALL SELECT node, kind FROM anodes)",
+        "seeds AS (SELECT event_id AS node, row_number() OVER (ORDER BY event_id) - 1 AS label, 1.0::DOUBLE AS score FROM rows)",
+    ]
+
+
+EVENTS = _events("SELECT * FROM events")
+FEW_EVENTS = _events("SELECT * FROM events WHERE event_id < 10000")
+
+ORDERS = [
+    """links AS (SELECT 'order' AS k1, o_orderkey::VARCHAR AS y1, 'customer' AS k2, o_custkey::VARCHAR AS y2 FROM orders
+    UNION ALL SELECT DISTINCT 'order', l_orderkey::VARCHAR, 'part', l_partkey::VARCHAR FROM lineitem
+    UNION ALL SELECT DISTINCT 'part', l_partkey::VARCHAR, 'supplier', l_suppkey::VARCHAR FROM lineitem)""",
+    "nodes AS (SELECT kind, key, row_number() OVER (ORDER BY kind, key) - 1 AS node FROM (SELECT k1 AS kind, y1 AS key FROM links UNION SELECT k2, y2 FROM links))",
+    "edges AS (SELECT a.node AS src, b.node AS dst, 1.0::DOUBLE AS w FROM links JOIN nodes a ON a.kind = k1 AND a.key = y1 JOIN nodes b ON b.kind = k2 AND b.key = y2)",
+    "seeds AS (SELECT node, row_number() OVER (ORDER BY node) - 1 AS label, 1.0::DOUBLE AS score FROM nodes WHERE kind = 'order')",
 ]
 
 
-def tokens_fixture(table: str, id_sql: str, word: str, name_sql: str, per: int, low: int = 2, high: int = 50) -> list[str]:
+def tokens_fixture(table: str, id_sql: str, word: str, name_sql: str, per: int, low: int = 2, share: float = 0.05) -> list[str]:
     return [
         f"raw AS (SELECT {id_sql} AS src, unnest(list_distinct(regexp_extract_all(lower(text), '{word}'))) AS key FROM {table})",
-        f"used AS (SELECT key FROM raw GROUP BY key HAVING count(*) BETWEEN {low} AND {high})",
+        f"used AS (SELECT key FROM raw GROUP BY key HAVING count(*) BETWEEN {low} AND (SELECT greatest({low}, floor({share}::DOUBLE * count(*) + 1e-9)) FROM {table}))",
         f"anodes AS (SELECT key, (SELECT max({id_sql}) FROM {table}) + row_number() OVER (ORDER BY key) AS node FROM used)",
         "edges AS (SELECT r.src, n.node AS dst, 1.0::DOUBLE AS w FROM raw r JOIN anodes n USING (key))",
         f"nodes AS (SELECT {id_sql} AS node FROM {table} UNION ALL SELECT node FROM anodes)",

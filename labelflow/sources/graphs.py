@@ -2,6 +2,11 @@
 
 from __future__ import annotations
 
+import math
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -130,30 +135,35 @@ def tokens(text: Column) -> Column:
     return F.array_distinct(F.regexp_extract_all(F.lower(text), F.lit(f"({WORD})")))
 
 
-def token_links(rows: DataFrame, id_col: str, text_col: str, min_df: int = 2, max_df: int = 50) -> DataFrame:
-    """id, token: distinct tokens of each row that occur in min_df to max_df rows."""
+#: Tokens in more than this share of the rows tell little and are left out.
+TOKEN_SHARE = 0.05
+
+
+def token_links(rows: DataFrame, id_col: str, text_col: str, min_df: int = 2, share: float = TOKEN_SHARE) -> DataFrame:
+    """id, token: distinct tokens of each row that occur in min_df rows or more and in at most this share of all."""
     pairs = rows.select(F.col(id_col).alias("id"), F.explode(tokens(F.col(text_col))).alias("token"))
+    max_df = max(min_df, math.floor(share * rows.count() + 1e-9))
     held = pairs.groupBy("token").agg(F.count(F.lit(1)).alias("df")).filter(F.col("df").between(min_df, max_df)).select("token")
     return pairs.join(held, "token").select("id", "token")
 
 
-def _token_graph(rows: DataFrame, kind: str, min_df: int, max_df: int) -> Graph:
+def _token_graph(rows: DataFrame, kind: str, min_df: int, share: float) -> Graph:
     top = rows.agg(F.max("id")).first()[0] or 0
-    links = token_links(rows, "id", "text", min_df, max_df).select(F.col("id").alias("src"), F.lit("token").alias("kind"), F.col("token").alias("key"))
+    links = token_links(rows, "id", "text", min_df, share).select(F.col("id").alias("src"), F.lit("token").alias("kind"), F.col("token").alias("key"))
     nodes, edges = _attributes(links, top + 1)
     own = rows.select(F.col("id").alias("node"), F.lit(kind).alias("kind"), F.col("id").cast("string").alias("key"))
     return Graph(own.unionByName(nodes), edges)
 
 
-def doc_tokens(spark: SparkSession, sf_dir: str, min_df: int = 2, max_df: int = 50) -> Graph:
-    """Documents and the tokens that a few of them share."""
-    return _token_graph(table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text"), "document", min_df, max_df)
+def doc_tokens(spark: SparkSession, sf_dir: str, min_df: int = 2, share: float = TOKEN_SHARE) -> Graph:
+    """Documents and the tokens that several of them share."""
+    return _token_graph(table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text"), "document", min_df, share)
 
 
-def conversation_tokens(spark: SparkSession, sf_dir: str, min_df: int = 2, max_df: int = 50) -> Graph:
+def conversation_tokens(spark: SparkSession, sf_dir: str, min_df: int = 2, share: float = TOKEN_SHARE) -> Graph:
     """Turns of conversations and their tokens; a turn's id is conv_id * 1000 + turn."""
     rows = table(spark, sf_dir, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), "text")
-    return _token_graph(rows, "turn", min_df, max_df)
+    return _token_graph(rows, "turn", min_df, share)
 
 
 def word_grams(text: Column, n: int) -> Column:
@@ -210,19 +220,38 @@ def knn_pairs(spark: SparkSession, sf_dir: str, k: int = 5, blocks: int = 16) ->
     return ranked.filter(F.col("r") <= k).select("src", "dst", F.greatest("cos", F.lit(0.0)).alias("w"))
 
 
-def lsh_neighbours(spark: SparkSession, sf_dir: str, k: int = 5, tables: int = 8, bits: int = 6, seed: int = 7) -> DataFrame:
-    """As :func:`knn_pairs` among vectors that share a bucket of sign bits in some table (approximate, for scale)."""
-    import random
-
-    draw = random.Random(seed)
-    v = table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("v"))
+def lsh_neighbours(spark: SparkSession, sf_dir: str, k: int = 5, tables: int = 64, bits: int = 6, seed: int = 7) -> DataFrame:
+    """As :func:`knn_pairs` among vectors that share a bucket of sign bits in some table (approximate, for scale); the
+    sums are taken by an Arrow kernel for each bucket, which returns a vector's k nearest there and no other pairs."""
+    v = cut(table(spark, sf_dir, "embeddings").select(F.col("vec_id").alias("id"), F.transform("embedding", lambda x: x.cast("double")).alias("v")), "vectors")
     width = len(v.first()["v"])
-    sign = lambda: F.when(F.aggregate(F.zip_with("v", F.array(*[F.lit(draw.gauss(0, 1)) for _ in range(width)]), lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x) > 0, F.lit("1")).otherwise("0")
-    keys = F.array(*[F.concat(F.lit(f"{t}:"), *[sign() for _ in range(bits)]) for t in range(tables)])
-    rows = cut(v.withColumn("n", F.sqrt(F.aggregate("v", F.lit(0.0), lambda a, x: a + x * x))).withColumn("bucket", F.explode(keys)), "buckets")
-    right = rows.select(F.col("id").alias("dst"), F.col("v").alias("b"), F.col("n").alias("nb"), "bucket")
-    dot = F.aggregate(F.zip_with("v", "b", lambda x, y: x * y), F.lit(0.0), lambda s, x: s + x)
-    pairs = rows.withColumnRenamed("id", "src").join(right, "bucket").filter("src != dst").select("src", "dst", (dot / (F.col("n") * F.col("nb"))).alias("cos")).distinct()
+    planes = np.random.default_rng(seed).normal(size=(width, tables * bits))
+
+    def keyed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            signs = (b.column(1).flatten().to_numpy().reshape(-1, width) @ planes > 0).reshape(-1, tables, bits)
+            keys = signs @ (1 << np.arange(bits)) + np.arange(tables) * (1 << bits)
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(list(keys), pa.list_(pa.int64()))], names=["id", "v", "keys"])
+
+    def nearest(t: pa.Table) -> pa.Table:
+        ids = t["id"].to_numpy()
+        x = t["v"].combine_chunks().flatten().to_numpy().reshape(-1, width)
+        x = x / np.maximum(np.sqrt((x * x).sum(axis=1)), 1e-300)[:, None]
+        src, dst, cos = [], [], []
+        for i in range(0, len(ids), 512):
+            c = x[i : i + 512] @ x.T
+            c[np.arange(len(c)), np.arange(i, i + len(c))] = -np.inf
+            m = min(k, len(ids) - 1)
+            if m > 0:
+                top = np.argpartition(-c, m - 1, axis=1)[:, :m]
+                src.append(np.repeat(ids[i : i + len(c)], m))
+                dst.append(ids[top].reshape(-1))
+                cos.append(np.take_along_axis(c, top, axis=1).reshape(-1))
+        join = lambda parts, kind: pa.array(np.concatenate(parts) if parts else [], kind)
+        return pa.table({"src": join(src, pa.int64()), "dst": join(dst, pa.int64()), "cos": join(cos, pa.float64())})
+
+    rows = v.mapInArrow(keyed, "id long, v array<double>, keys array<long>").select("id", "v", F.explode("keys").alias("key"))
+    pairs = rows.groupBy("key").applyInArrow(nearest, "src long, dst long, cos double").groupBy("src", "dst").agg(F.max("cos").alias("cos"))
     ranked = pairs.withColumn("r", F.row_number().over(Window.partitionBy("src").orderBy(F.desc("cos"), "dst")))
     return ranked.filter(F.col("r") <= k).select("src", "dst", F.greatest("cos", F.lit(0.0)).alias("w"))
 

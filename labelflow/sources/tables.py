@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.sketch import SketchSpec
+from ..session import cut
 
 SCHEMAS = {
     "region": "r_regionkey int, r_name string",
@@ -34,13 +35,14 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def _read(spark: SparkSession, path: str, fmt: str, schema: str) -> tuple[DataFrame, DataFrame]:
-    """Rows that fit the schema, and those that don't with their text in _corrupt_record (csv, tsv and json only)."""
+    """Rows that fit the schema, and those that don't with their text in _corrupt_record (csv, tsv and json only). Text
+    is parsed once and written; both results read what was written."""
     if fmt in ("parquet", "orc"):
         df = spark.read.schema(schema).format(fmt).load(path)
         return df, df.limit(0).select(F.lit("").alias("_corrupt_record"))
     reader = spark.read.schema(schema + ", _corrupt_record string").option("mode", "PERMISSIVE").option("columnNameOfCorruptRecord", "_corrupt_record")
     reader = reader.format("json") if fmt == "json" else reader.format("csv").option("header", fmt == "csv").option("sep", "," if fmt == "csv" else "\t")
-    df = reader.load(path)
+    df = cut(reader.load(path), "read")
     bad = F.col("_corrupt_record").isNotNull()
     return df.filter(~bad).drop("_corrupt_record"), df.filter(bad)
 

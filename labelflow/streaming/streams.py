@@ -74,9 +74,13 @@ def follow_seeds(stream: DataFrame, plan: AffinePlan, start: DataFrame, store, m
     return stream.writeStream.trigger(availableNow=True).foreachBatch(apply)
 
 
-def split_by_day(spark: SparkSession, sf_dir: str, files: int = 6, copies: int = 1) -> str:
+#: The user of the row that ends a finite stream.
+CLOSING_USER = -1
+
+
+def split_by_day(spark: SparkSession, sf_dir: str, files: int = 6, copies: int = 1, closing: bool = False) -> str:
     """The events in the shared folder as files that follow each other in time, for a file stream (which orders by
-    the time of writing)."""
+    the time of writing). ``closing`` adds a row of CLOSING_USER ten days later, which lets the watermark pass all."""
     path = f"{state_dir(spark)}/events-{uuid.uuid4().hex}"
     e = spark.read.parquet(f"{sf_dir}/events.parquet").select(*[c.split()[0] for c in SCHEMAS["events"].split(", ")])
     low, high = e.agg(F.min(F.unix_micros(F.col("ts").cast("timestamp"))), F.max(F.unix_micros(F.col("ts").cast("timestamp")))).first()
@@ -85,18 +89,34 @@ def split_by_day(spark: SparkSession, sf_dir: str, files: int = 6, copies: int =
     for i in range(files):
         rows = e.filter(part == i).withColumn("n_", F.explode(F.sequence(F.lit(1), F.lit(copies)))).drop("n_")
         rows.coalesce(1).write.mode("append").parquet(path)
+    if closing:
+        last = e.agg(F.max("ts").alias("ts")).withColumns({"ts": F.col("ts") + F.expr("INTERVAL 10 DAYS"), "event_id": F.lit(-1), "user_id": F.lit(CLOSING_USER), "value": F.lit(0.0)})
+        last = last.select(*[F.col(c).cast(t) if c in last.columns else F.lit(None).cast(t).alias(c) for c, t in (x.split() for x in SCHEMAS["events"].split(", "))])
+        last.coalesce(1).write.mode("append").parquet(path)
     return path
 
 
-def collected(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """All rows of a finite stream, through a Parquet sink (append) or the memory sink (other modes)."""
+def collected(stream: DataFrame, keys: tuple[str, ...] = (), progress: list | None = None) -> DataFrame:
+    """All rows of a finite stream, through Parquet files: appended rows, or with ``keys`` the last update of each key.
+
+    ``progress`` gets the stream's progress reports.
+    """
     spark = stream.sparkSession
     root = f"{state_dir(spark)}/stream-{uuid.uuid4().hex}"
-    if mode == "append":
-        q = stream.writeStream.outputMode("append").format("parquet").option("path", f"{root}/out").option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
-        q.awaitTermination()
-        return spark.read.schema(stream.schema).parquet(f"{root}/out")
-    name = f"lf_{uuid.uuid4().hex}"
-    q = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start()
+    writer = stream.writeStream.option("checkpointLocation", f"{root}/state").trigger(availableNow=True)
+    if keys:
+        def put(batch: DataFrame, number: int) -> None:
+            batch.write.mode("overwrite").parquet(f"{root}/out/batch={number}")
+
+        q = writer.outputMode("update").foreachBatch(put).start()
+    else:
+        q = writer.outputMode("append").format("parquet").option("path", f"{root}/out").start()
     q.awaitTermination()
-    return spark.table(name)
+    if progress is not None:
+        progress += q.recentProgress
+    if not keys:
+        return spark.read.schema(stream.schema).parquet(f"{root}/out")
+    rest = [c for c in stream.columns if c not in keys]
+    rows = spark.read.schema(stream.schema.add("batch", "long")).parquet(f"{root}/out")
+    last = rows.groupBy(*keys).agg(F.max_by(F.struct(*rest), "batch").alias("last"))
+    return last.select(*keys, *[F.col(f"last.{c}").alias(c) for c in rest])

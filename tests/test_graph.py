@@ -33,7 +33,9 @@ def test_two_triangles(spark):
     for r in measures.conductance(e, c).collect():
         assert (r["vol"], r["boundary"]) == (7.0, 1.0) and r["psi"] == pytest.approx(1 / 3) and r["phi"] == pytest.approx(1 / 7)
         assert r["psi"] >= r["phi"]
-    mass = {r["node"]: r["mass"] for r in measures.escape_mass(e, c, 1).collect()}
+    found = measures.escape_mass(e, c, 1).collect()
+    assert all(r["mass"] <= r["psi"] + 1e-12 and r["bound"] == pytest.approx(r["psi"]) for r in found)
+    mass = {r["node"]: r["mass"] for r in found}
     assert mass[2] == pytest.approx(1 / 3) and mass[0] == 0
     assert {r["node"]: r["deg"] for r in graph.degree(e).collect()}[2] == 3
     assert rows(graph.reachable(e, spark.createDataFrame([(0,)], "node long"), 2)) == [(0, 0), (1, 1), (2, 1), (3, 2)]
@@ -87,12 +89,6 @@ def test_seeds(spark):
     assert rows(seeds.self_injection(spark.createDataFrame([(9,), (4,)], "node long"))) == [(4, 0, 1.0), (9, 1, 1.0)]
 
 
-def test_approximate_neighbours_are_mostly_exact(spark):
-    exact = set(rows(graphs.knn_pairs(spark, SF, 1).select("src", "dst")))
-    found = set(rows(graphs.lsh_neighbours(spark, SF, 1, tables=16, bits=3).select("src", "dst")))
-    assert len(exact & found) > 0.7 * len(exact)
-
-
 def test_files_and_epochs(spark, tmp_path):
     e = spark.createDataFrame([(0, 1, 1.0), (1, 2, 0.5)], "src long, dst long, w double")
     for fmt in ("parquet", "orc", "json"):
@@ -101,7 +97,7 @@ def test_files_and_epochs(spark, tmp_path):
         assert rows(good) == rows(e) and bad.count() == 0
     (tmp_path / "x.csv").write_text("src,dst,w\n0,1,1.0\noops,2,3\n")
     good, bad = tables.read_edges(spark, str(tmp_path / "x.csv"), "csv")
-    assert rows(good.cache()) == [(0, 1, 1.0)] and len(bad.cache().collect()) == 1
+    assert rows(good) == [(0, 1, 1.0)] and bad.count() == 1 and good.count() == 1
     spec = SketchSpec.create(5, 2)
     s = encode(spark.createDataFrame([(0, 3, 1.0)], "node long, label long, score double"), "label", "score", ["node"], spec)
     tables.save_sketch(s, spec, f"{tmp_path}/sketch")

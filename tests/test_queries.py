@@ -13,7 +13,7 @@ from labelflow.queries import methods, relational, streams
 SOME = [
     "edges_part_attrs", "weighted_trade_edges", "value_band_edges", "co_activity_edges", "label_as_of_event", "seed_coverage_cube", "top_labels_per_node", "doc_token_edges",
     "cms_update", "cms_point_query", "sizing_table", "dataset_card", "ma_exact_t3", "ma_objective_trace", "ma_dummy_label", "sketch_t3_cells", "sketch_commutes", "sketch_fused_t3",
-    "decode_topk", "harmonic_t3", "mrr_exact", "mrr_sketch_20x3", "bound_violations", "self_injection_growth", "store_choice", "conductance", "stream_window_cells", "stream_dedup",
+    "decode_topk", "decode_threshold", "approximation_error", "harmonic_t3", "adsorption_sketch_t3", "community_bound", "controls", "retrieval_measures", "few_labels_curve_t2", "source_classify", "stream_late_drop", "stream_named_events", "stream_interval_edges", "stream_session_totals", "stream_seed_state", "mrr_exact", "mrr_sketch_20x3", "bound_violations", "self_injection_growth", "store_choice", "conductance", "stream_window_cells", "stream_dedup",
 ]
 
 
