@@ -9,8 +9,8 @@ from __future__ import annotations
 
 import numpy as np
 
-#: Pairs of query and node that one step of a search holds at most, before it is divided.
-FRONTIER = 2_000_000
+#: Pairs of query and node that one step of a search starts from at most; it may follow several edges from each.
+FRONTIER = 1 << 18
 
 
 class Forest:

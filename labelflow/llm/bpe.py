@@ -24,7 +24,7 @@ from pyspark import SparkFiles
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_of, slices, text_of
+from .common import id_of, lean, slices, text_of
 
 os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 #: Distinct pieces whose ids a worker keeps; about 100 bytes each.
@@ -215,7 +215,7 @@ def encode_decode(docs: DataFrame, rank_path: str, pattern: str, *, id_col: str
                 names += ["char_starts", "char_ends"]
             yield pa.RecordBatch.from_arrays(arrays, names=names)
 
-    return docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text")).mapInArrow(run, schema)
+    return docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text")).mapInArrow(lean(run), schema)
 
 
 def encode_ids(docs: DataFrame, rank_path: str, pattern: str, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -233,4 +233,4 @@ def decode_ids(rows: DataFrame, rank_path: str, pattern: str, *, id_col: str = "
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(raw, pa.binary()), pa.array([b.decode("utf-8", "replace") for b in raw], pa.string())], names=["doc_id", "bytes", "text"])
 
     ids = F.coalesce(F.col(f"`{ids_col}`").cast("array<int>"), F.array().cast("array<int>"))
-    return rows.select(id_of(id_col).alias("doc_id"), ids.alias("ids")).mapInArrow(run, "doc_id long, bytes binary, text string")
+    return rows.select(id_of(id_col).alias("doc_id"), ids.alias("ids")).mapInArrow(lean(run), "doc_id long, bytes binary, text string")

@@ -2,9 +2,10 @@
 
 from __future__ import annotations
 
+import ctypes
 import tempfile
 import uuid
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -12,6 +13,8 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Rows of an Arrow batch of documents at most.
+BATCH_ROWS = 2_000
 #: ASCII white space, as the contracts state it.
 SPACES = r"[\x20\x09-\x0D]+"
 
@@ -54,6 +57,26 @@ def slices(batch: pa.RecordBatch, text: int, size: int = 1 << 20, rows: int = 2_
         at = to
 
 
+def lean(run: Callable) -> Callable:
+    """A function of Arrow batches whose worker gives its memory back to the system: Arrow buffers at once, the rest at
+    the end of the task. Workers are used again by later stages, which would pay for what they keep. Rows are whole
+    documents here, so the session's Arrow batches are set to BATCH_ROWS rows where they are larger."""
+    spark, name = SparkSession.getActiveSession(), "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if spark is not None and not 0 < int(spark.conf.get(name, "10000")) <= BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        pa.set_memory_pool(pa.system_memory_pool())
+        try:
+            yield from run(batches)
+        finally:
+            trim = getattr(ctypes.CDLL(None), "malloc_trim", None)
+            if trim:
+                trim(0)
+
+    return wrapped
+
+
 def read(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{table}.parquet")
 

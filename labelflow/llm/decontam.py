@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import id_of, slices, text_of, with_row_key, without_ids
+from .common import id_of, lean, slices, text_of, with_row_key, without_ids
 from .words import NOT_ALNUM, KeyTable, gram_keys, keys_by_text, mix
 
 #: Most words of benchmark items that are sent to workers at once; larger sets go in several blocks of items.
@@ -269,7 +269,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
         bench = Benchmark(list(range(len(ids))), text_words(texts), similarity, recall)
 
         def run(batches: Iterator[pa.RecordBatch], bench=bench, ids=ids) -> Iterator[pa.RecordBatch]:
-            for batch in (part for whole in batches for part in slices(whole, 1, 4 << 20)):
+            for batch in (part for whole in batches for part in slices(whole, 1, 2 << 20)):
                 of, found = batch.column(0).to_pylist(), bench.find(batch.column(1).to_pylist())
                 n = [len(bench.words[k]) for _, k, *_ in found]
                 columns = [
@@ -279,7 +279,7 @@ def find_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id",
                 ]
                 yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "item_id", "distance", "similarity", "start_word", "end_word"])
 
-        part = rows.mapInArrow(run, "doc_id long, item_id long, distance long, similarity double, start_word long, end_word long")
+        part = rows.mapInArrow(lean(run), "doc_id long, item_id long, distance long, similarity double, start_word long, end_word long")
         out = part if out is None else out.unionByName(part)
     return out
 

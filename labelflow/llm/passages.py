@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .anchors import _R2, rolling, segments
-from .common import id_of, materialise, text_of
+from .common import id_of, lean, materialise, text_of
 from .pfp import PrefixFreeParse
 from .words import mix
 
@@ -237,17 +237,17 @@ def repeated_ranges(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     keyed = _keyed(docs, id_col, text_col)
     size = keyed.agg(F.sum(F.octet_length("text").cast("long"))).first()[0] or 0
     parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), size // task_bytes)
-    parsed = keyed.mapInArrow(_parse_task(span, gram), _SCHEMA)
-    met = materialise(parsed.repartition(parts, "h").mapInArrow(_meet_task(span), _SCHEMA), "passages-met")
+    parsed = keyed.mapInArrow(lean(_parse_task(span, gram)), _SCHEMA)
+    met = materialise(parsed.repartition(parts, "h").mapInArrow(lean(_meet_task(span)), _SCHEMA), "passages-met")
     contested = met.filter(F.col("kind") == CONTESTED).select("s", "doc", "uid", "pos", "n")
     hot = materialise(contested.groupBy("s").count().filter(F.col("count") > hot_rows).select(F.col("s").alias("hot"), F.ceil(F.col("count") / hot_rows).alias("salts")), "passages-hot")
     with_text = _by_document(keyed, contested, "inner", ["s", "pos", "n"], broadcast_rows).select("doc", "uid", "text", "found")
-    fetched = with_text.mapInArrow(_fetch_task(span), "h long, doc long, uid long, pos long, n long, body binary")
+    fetched = with_text.mapInArrow(lean(_fetch_task(span)), "h long, doc long, uid long, pos long, n long, body binary")
     salted = fetched.join(F.broadcast(hot), F.col("h") == F.col("hot"), "left").select(
         "h", "doc", "uid", "pos", "n", "body", F.coalesce(F.pmod(F.xxhash64("doc", "uid", "pos"), F.col("salts")), F.lit(-1)).alias("salt")
     )
     parts = max(int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")), contested.count() * 2 * span // task_bytes)
-    ordered = materialise(salted.repartition(parts, "h", "salt").mapInArrow(_order_task(span), _SCHEMA), "passages-ordered")
+    ordered = materialise(salted.repartition(parts, "h", "salt").mapInArrow(lean(_order_task(span)), _SCHEMA), "passages-ordered")
     heads = ordered.filter(F.col("kind") == HEAD).select("h", "s", "doc", "uid", "pos")
     lowest = heads.groupBy("h", "s").agg(F.min(F.struct("doc", "uid", "pos")).alias("low"))
     late = heads.join(lowest, ["h", "s"]).filter(F.struct("doc", "uid", "pos") != F.col("low")).select("doc", "uid", "pos", F.lit(span).cast("long").alias("n"))
@@ -297,4 +297,4 @@ def repeat_report(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "t
             ]
             yield pa.RecordBatch.from_arrays([*columns, *([pa.array(left, pa.binary())] * with_text)], names=["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", *["kept"] * with_text])
 
-    return joined.mapInArrow(run, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_text)
+    return joined.mapInArrow(lean(run), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_text)

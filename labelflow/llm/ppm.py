@@ -27,7 +27,7 @@ from pyspark import TaskContext
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_of, materialise, slices, text_of
+from .common import id_of, lean, materialise, slices, text_of
 from .words import KeyTable, Part, parts_of
 
 SYMBOLS = 257
@@ -167,7 +167,7 @@ def count_table(texts: DataFrame, order: int) -> DataFrame:
             yield from told_grams()
         yield from told_words()
 
-    counted = texts.select("text").mapInArrow(run, "gram long, word binary, n long")
+    counted = texts.select("text").mapInArrow(lean(run), "gram long, word binary, n long")
     return counted.groupBy("gram", "word").agg(F.sum("n").alias("n"))
 
 
@@ -302,7 +302,7 @@ def ppm_scores(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text
     common, often = seen.filter(_head(seen, head_grams)).toArrow(), words.filter(_head(words, head_words)).toArrow()  # of fixed size at most
     sent = docs.sparkSession.sparkContext.broadcast((common["gram"].to_numpy().view(np.uint64), common["cost"].to_numpy(), often["word"].to_pylist(), often["n"].to_pylist()))
     schema = "row long, doc_id long, held_out boolean, n_tokens long, n_known long, log double, score double, gram long, word binary, times long"
-    parts = materialise(rows.select("doc_id", "text", "held_out").mapInArrow(_priced_by_head(order, sent), schema), "ppm-parts")
+    parts = materialise(rows.select("doc_id", "text", "held_out").mapInArrow(lean(_priced_by_head(order, sent)), schema), "ppm-parts")
     rare = parts.filter("gram is not null").select("row", "gram", "times")
     asked = materialise(rare.select("gram").distinct().join(seen.select(F.col("gram").alias("k_"), "cost"), F.col("gram") == F.col("k_"), "left").select("gram", "cost"), "ppm-asked")
     costs = asked.filter("cost is not null").unionByName(escaped_costs(asked.filter("cost is null"), grams, order))

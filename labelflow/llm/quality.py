@@ -21,14 +21,14 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_of, materialise, slices, text_of, with_row_key, without_ids
+from .common import id_of, lean, materialise, slices, text_of, with_row_key, without_ids
 from .words import NOT_ALNUM, KeyTable, mix, parts_of, word_keys
 
 HEADS = ("low", "toxic")
 PREFIXES = (0, 4, 5, 6)
 _FORMS = 7
 #: Bytes of text whose features a worker holds at once, and pairs of row and feature that a step of the fit takes at once.
-_HELD, _PAIRS = 2 << 20, 1 << 18
+_HELD, _PAIRS = 1 << 19, 1 << 18
 _CLASSES = np.stack([
     np.isin(np.arange(256), np.arange(65, 91)),
     np.isin(np.arange(256), np.arange(97, 123)),
@@ -165,7 +165,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         keys, sums = np.empty(0, np.uint64), np.empty((0, 3), np.int64)
-        for batch in (part for whole in batches for part in slices(whole, 0, 4 << 20)):
+        for batch in (part for whole in batches for part in slices(whole, 0, 1 << 20)):
             texts = [x.encode("utf-8", "surrogatepass") for x in batch.column(0).to_pylist()]
             marks = np.stack([np.ones(len(texts)), batch.column(1).to_numpy(), batch.column(2).to_numpy()], axis=1).astype(np.int64)
             for a, b in _groups(texts):
@@ -186,7 +186,7 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
         rate = F.lit(((whole[head] or 0) + 0.5) / (n + 1))
         z.append(F.abs(F.col(head) - F.col("n") * rate) / F.sqrt(F.col("n") * rate * (1 - rate) + 0.5))
     tested = (
-        rows.mapInArrow(count, "key long, n long, low long, toxic long").groupBy("key").agg(*[F.sum(c).alias(c) for c in ("n", *HEADS)])
+        rows.mapInArrow(lean(count), "key long, n long, low long, toxic long").groupBy("key").agg(*[F.sum(c).alias(c) for c in ("n", *HEADS)])
         .filter(F.col("n") >= least_rows).withColumn("z", F.greatest(*z)).filter(F.col("z") >= least_z)
         .orderBy(F.desc("z"), "key").limit(max_features).select("key").toArrow()
     )
@@ -204,9 +204,9 @@ def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col:
                 lists += np.split((pair % max(1, len(keys))).astype(np.int32), ends)
             yield pa.RecordBatch.from_arrays([batch.column(1), batch.column(2), pa.array(lists, pa.list_(pa.int32()))], names=["low", "toxic", "rows"])
 
-    held = rows.mapInArrow(design, "low int, toxic int, rows array<int>").toArrow()  # at most sample_rows rows
+    held = rows.mapInArrow(lean(design), "low int, toxic int, rows array<int>").toArrow()  # at most sample_rows rows
     lists = held.column("rows").combine_chunks()
-    ends, row = lists.offsets.to_numpy()[1:].astype(np.int64), lists.values.to_numpy()
+    ends, row = lists.offsets.to_numpy()[1:].astype(np.int64), lists.values.to_numpy().astype(np.intp)
     fitted = [_fit_logistic(ends, row, len(keys), held.column(h).to_numpy().astype(float)) for h in HEADS]
     return Classifier(keys, np.stack([w for w, _ in fitted], axis=1), np.array([b if whole[h] else -30.0 for (_, b), h in zip(fitted, HEADS)]))
 
@@ -220,7 +220,7 @@ def evidence(docs: DataFrame, model: Classifier, *, id_col: str = "doc_id", text
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(logits[:, 0]), pa.array(logits[:, 1])], names=["doc_id", "host", "path", "z_low", "z_toxic"])
 
     rows = docs.select(id_of(id_col).alias("doc_id"), F.col(f"`{host_col}`").cast("string").alias("host"), F.col(f"`{path_col}`").cast("string").alias("path"), text_of(text_col).alias("text"))
-    return rows.mapInArrow(run, "doc_id long, host string, path string, z_low double, z_toxic double")
+    return rows.mapInArrow(lean(run), "doc_id long, host string, path string, z_low double, z_toxic double")
 
 
 def _logit(p: Column) -> Column:

@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .bktree import Forest, Union
-from .common import id_of, materialise, text_of, with_row_key, without_ids
+from .common import id_of, lean, materialise, slices, text_of, with_row_key, without_ids
 from .components import connected_components
 from .verify import SLICE_ROWS, exact_links, node_of, shingles
 from .words import gram_keys, keys_by_text, mix
@@ -58,7 +58,7 @@ def fingerprints(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "te
             fp = np.array([fingerprint(x.as_py(), shingle) for x in batch.column(1)], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp, pa.int64())], names=["doc_id", "fp"])
 
-    return docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text")).mapInArrow(run, "doc_id long, fp long")
+    return docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text")).mapInArrow(lean(run), "doc_id long, fp long")
 
 
 def _bucket_keys(fp: Column, blocks: int, radius: int, first: int) -> Column:
@@ -96,7 +96,7 @@ def hamming_links(nodes: DataFrame, *, radius: int = 3, tree_size: int = 1024, u
         moved = np.flatnonzero(root != np.arange(len(root)))
         yield pa.RecordBatch.from_arrays([pa.array(node[moved]), pa.array(node[root[moved]])], names=["a", "b"])
 
-    return units.repartition(parts, "unit").mapInArrow(run, "a long, b long")
+    return units.repartition(parts, "unit").mapInArrow(lean(run), "a long, b long")
 
 
 def star_links(keyed: DataFrame) -> DataFrame:
@@ -163,7 +163,7 @@ def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in (b.slice(i, SLICE_ROWS) for b in batches for i in range(0, b.num_rows, SLICE_ROWS)):
+        for batch in (part for whole in batches for part in slices(whole, 2, rows=SLICE_ROWS)):
             words = keys_by_text([t.encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()])
             prints = [pair_prints(w) for w in words]
             arrays = [batch.column(0), batch.column(1), pa.array([node_of(w) for w in words], pa.int64()), *(pa.array([x[j] for x in prints], pa.int64()) for j in (0, 1))]
@@ -172,7 +172,7 @@ def near_components(docs: DataFrame, *, id_col: str = "doc_id", text_col: str =
 
     texts = docs.select(id_of(id_col).alias("doc_id"), text_of(text_col).alias("text"))
     keyed = texts.select("doc_id", F.xxhash64("text").alias("key"), "text")
-    rows = materialise(keyed.mapInArrow(run, "doc_id long, key long, node long, fp long, fp2 long, bands array<long>"), "near-rows")
+    rows = materialise(keyed.mapInArrow(lean(run), "doc_id long, key long, node long, fp long, fp2 long, bands array<long>"), "near-rows")
     nodes = materialise(rows.groupBy("node", "fp", "fp2", "bands").agg(F.min("doc_id").alias("low"), F.min("key").alias("key")), "near-nodes")
     loose = star_links(nodes.select("node", F.explode("bands").alias("key")))
     for c in ("fp", "fp2"):

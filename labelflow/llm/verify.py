@@ -17,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bktree import Union
-from .common import materialise
+from .common import lean, materialise, slices
 from .components import connected_components
 from .words import gram_keys, keys_by_text
 
@@ -85,7 +85,7 @@ def _solve(units: DataFrame, similarity: float, weight: int, unit_shingles: int)
             if len(moved):
                 yield pa.RecordBatch.from_arrays([pa.array(node[rows[moved]]), pa.array(node[rows[root[moved]]])], names=["a", "b"])
 
-    return units.select("unit", "node", "known", "shingles").repartition(parts, "unit").mapInArrow(run, "a long, b long")
+    return units.select("unit", "node", "known", "shingles").repartition(parts, "unit").mapInArrow(lean(run), "a long, b long")
 
 
 def exact_links(texts: DataFrame, loose: DataFrame, *, shingle: int, similarity: float, unit_rows: int = 1024, unit_shingles: int = 1 << 21, broadcast_rows: int = 1_000_000) -> DataFrame:
@@ -96,7 +96,7 @@ def exact_links(texts: DataFrame, loose: DataFrame, *, shingle: int, similarity:
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in (b.slice(i, SLICE_ROWS) for b in batches for i in range(0, b.num_rows, SLICE_ROWS)):
+        for batch in (part for whole in batches for part in slices(whole, 2, rows=SLICE_ROWS)):
             words = keys_by_text([t.encode("utf-8", "surrogatepass") for t in batch.column(2).to_pylist()])
             keep = np.array([node_of(w) for w in words], np.int64) == batch.column(0).to_numpy()
             sets = [shingles(w, shingle) for w, k in zip(words, keep) if k]
@@ -106,7 +106,7 @@ def exact_links(texts: DataFrame, loose: DataFrame, *, shingle: int, similarity:
     side = loose.select("node", "component", F.col("key").alias("k"))
     side = F.broadcast(side) if side.count() <= broadcast_rows else side
     held = texts.join(side, F.col("key") == F.col("k")).groupBy("node", "component").agg(F.min("text").alias("text"))
-    sets = materialise(held.mapInArrow(run, "node long, component long, size long, shingles binary"), "near-sets")
+    sets = materialise(held.mapInArrow(lean(run), "node long, component long, size long, shingles binary"), "near-sets")
 
     def parts(n: str, weight: str):
         return F.greatest(F.ceil(F.col(n) / unit_rows), F.ceil(F.col(weight) / unit_shingles), F.lit(1)).cast("int")
