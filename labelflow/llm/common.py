@@ -13,6 +13,8 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: The reserved name of a row's key.
+ROW = "__labelflow_row"
 #: Rows of an Arrow batch of documents at most.
 BATCH_ROWS = 2_000
 #: ASCII white space, as the contracts state it.
@@ -43,7 +45,9 @@ def materialise(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = f"{state_dir(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.written_at = path  # for session.discard
+    return out
 
 
 def slices(batch: pa.RecordBatch, text: int, size: int = 1 << 20, rows: int = 2_000) -> Iterator[pa.RecordBatch]:
@@ -91,17 +95,17 @@ def id_of(name: str) -> Column:
 
 
 def with_row_key(docs: DataFrame, *columns: str) -> DataFrame:
-    """``docs`` with ``__row``, a long of these columns: rows that differ in one, null or not, are told apart."""
+    """``docs`` with ROW, a long of these columns: rows that differ in one, null or not, are told apart."""
     parts = [x for c in columns for x in (F.col(f"`{c}`").isNull(), F.col(f"`{c}`"))]
-    return docs.withColumn("__row", F.xxhash64(*parts))
+    return docs.withColumn(ROW, F.xxhash64(*parts))
 
 
 def without_ids(docs: DataFrame, ids: DataFrame, id_col: str, *, broadcast_rows: int = 1_000_000) -> DataFrame:
     """``docs`` but for rows whose id (null included) is in the one column of ``ids``, with all their columns.
 
     The ids are written first; they are sent to all executors if they are at most ``broadcast_rows``, else both
-    sides are dealt by id.
+    sides are dealt by id. Column names that start with ``__labelflow`` are reserved.
     """
-    found = materialise(ids.select(F.col(ids.columns[0]).alias("__id")).distinct(), "ids")
+    found = materialise(ids.select(F.col(ids.columns[0]).alias("__labelflow_id")).distinct(), "ids")
     side = F.broadcast(found) if found.count() <= broadcast_rows else found
-    return docs.join(side, F.col(f"`{id_col}`").eqNullSafe(F.col("__id")), "left_anti")
+    return docs.join(side, F.col(f"`{id_col}`").eqNullSafe(F.col("__labelflow_id")), "left_anti")

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..session import discard
 from .common import materialise
 
 
@@ -30,7 +31,7 @@ def _small_star(edges: DataFrame) -> DataFrame:
 def connected_components(links: DataFrame, a: str = "a", b: str = "b") -> DataFrame:
     """(node, component) for each node of a link between different nodes; component is its smallest node.
 
-    Each round is written to the shared folder, which cuts the lineage; the number of rounds grows with the
+    Each round is written to the shared folder, which cuts the lineage, and the one before deleted; the number of rounds grows with the
     logarithm of the largest component.
     """
     u, v = F.col(a).cast("long"), F.col(b).cast("long")
@@ -41,8 +42,9 @@ def connected_components(links: DataFrame, a: str = "a", b: str = "b") -> DataFr
 
     last = mark(edges)
     while last[0]:
-        edges = materialise(_small_star(_large_star(edges)), "stars")
+        before, edges = edges, materialise(_small_star(_large_star(edges)), "stars")
         now = mark(edges)
+        discard(before)
         if now == last:
             break
         last = now

@@ -22,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from .common import id_of, lean, slices, text_of, with_row_key, without_ids
+from .common import ROW, id_of, lean, slices, text_of, with_row_key, without_ids
 from .words import NOT_ALNUM, KeyTable, gram_keys, keys_by_text, mix
 
 #: Most words of benchmark items that are sent to workers at once; larger sets go in several blocks of items.
@@ -301,5 +301,5 @@ def _blocks(items: DataFrame, block_words: int) -> Iterator[tuple[list, list[str
 def drop_leaks(docs: DataFrame, benchmark: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
     """The rows of ``docs`` that hold no item, with all their columns; rows of one id are judged on their own."""
     rows = with_row_key(docs, id_col, text_col)
-    leaks = find_leaks(rows, benchmark, id_col="__row", text_col=text_col, **options)
-    return without_ids(rows, leaks.select("doc_id"), "__row").drop("__row")
+    leaks = find_leaks(rows, benchmark, id_col=ROW, text_col=text_col, **options)
+    return without_ids(rows, leaks.select("doc_id"), ROW).drop(ROW)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_of, lean, materialise, slices, text_of, with_row_key, without_ids
+from .common import ROW, id_of, lean, materialise, slices, text_of, with_row_key, without_ids
 from .words import NOT_ALNUM, KeyTable, mix, parts_of, word_keys
 
 HEADS = ("low", "toxic")
@@ -283,5 +283,5 @@ def keep_good(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", tex
     """The rows of ``docs`` that :func:`classify` keeps, with all their columns; rows of one id are judged on their own."""
     model = model or fit(docs, labels, id_col=id_col, text_col=text_col, **fitting)
     rows = with_row_key(docs, id_col, text_col, host_col, path_col)
-    judged = classify(rows, labels, id_col="__row", text_col=text_col, host_col=host_col, path_col=path_col, threshold=threshold, model=model)
-    return without_ids(rows, judged.filter(~F.col("keep")).select("doc_id"), "__row").drop("__row")
+    judged = classify(rows, labels, id_col=ROW, text_col=text_col, host_col=host_col, path_col=path_col, threshold=threshold, model=model)
+    return without_ids(rows, judged.filter(~F.col("keep")).select("doc_id"), ROW).drop(ROW)

@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .bktree import Forest, Union
-from .common import id_of, lean, materialise, slices, text_of, with_row_key, without_ids
+from .common import ROW, id_of, lean, materialise, slices, text_of, with_row_key, without_ids
 from .components import connected_components
 from .verify import SLICE_ROWS, exact_links, node_of, shingles
 from .words import gram_keys, keys_by_text, mix
@@ -194,10 +194,10 @@ def keep_one(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text",
     Null ids come last; rows of one id and text stay or go together, those of one id and different texts do not.
     """
     rows = with_row_key(docs, id_col, text_col)
-    found = near_components(rows, id_col="__row", text_col=text_col, **options).withColumnRenamed("doc_id", "row")
-    ids = rows.select(F.col("__row").alias("r"), id_of(id_col).alias("id")).distinct()
+    found = near_components(rows, id_col=ROW, text_col=text_col, **options).withColumnRenamed("doc_id", "row")
+    ids = rows.select(F.col(ROW).alias("r"), id_of(id_col).alias("id")).distinct()
     found = materialise(found.distinct().join(ids, F.col("row") == F.col("r")).select("row", "component_id", F.struct(F.col("id").isNull(), "id", "row").alias("rank")), "near-ranks")
     kept = found.groupBy("component_id").agg(F.min("rank").alias("least"))
     kept = kept.select(F.col("component_id").alias("c"), F.col("least.row").alias("stays"))
     gone = found.join(kept, F.col("component_id") == F.col("c")).filter("row != stays").select("row")
-    return without_ids(rows, gone, "__row").drop("__row")
+    return without_ids(rows, gone, ROW).drop(ROW)

@@ -103,6 +103,20 @@ def test_repeated_rows_and_null_ids(spark):
     assert "Python" not in sharding.stratified_shards(df.withColumn("source", F.lit("s")), 2)._jdf.queryExecution().executedPlan().toString()
 
 
+def test_clashing_names_pass_through_the_filters(spark):
+    rows = [(1, filler(300, 1)), (2, filler(300, 2)), (3, filler(300, 1) + " k1")]
+    df = spark.createDataFrame(rows, SCHEMA)
+    for name in ("__id", "__row", "component", "node", "id", "row", "key", "unit"):
+        df = df.withColumn(name, F.lit("kept"))
+    out = simhash.keep_one(df).collect()
+    assert [r["doc_id"] for r in sorted(out, key=lambda r: r["doc_id"])] == [1, 2] and all(r["__id"] == r["__row"] == r["unit"] == "kept" for r in out)
+    bench = spark.createDataFrame([(9, rows[1][1])], "item_id long, text string")
+    assert {r["doc_id"] for r in decontam.drop_leaks(df, bench).collect()} == {1, 3}
+    labels = spark.createDataFrame([], "doc_id long, quality int, toxic int")
+    good = quality.keep_good(df.withColumns({"source": F.lit("s"), "lang": F.lit("l")}), labels)
+    assert good.count() == 3 and "__row" in good.columns
+
+
 def plain_strength(groups, parent):
     """groups: (n, total); parent: the rate each is compared with."""
     n, t = np.array([g[0] for g in groups], float), np.array([g[1] for g in groups])
