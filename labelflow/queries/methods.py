@@ -398,16 +398,18 @@ def adsorption_sketch_t3(spark, sf_dir):
 _ABSORB = [SYM, "dg AS (SELECT dst, sum(w) AS deg FROM sym GROUP BY 1)", "coef AS (SELECT src, dst, w / (1.0::DOUBLE + deg) AS coef FROM sym JOIN dg USING (dst))", "fixed AS (SELECT node, label, score * 1.0::DOUBLE / (1.0::DOUBLE + coalesce(deg, 0)) AS score FROM seeds LEFT JOIN dg ON dst = node)"]
 
 
-@query(with_(KB, _ABSORB, iterate(3)) + " SELECT node, label, round(score, 6) AS score FROM y3")
+@query(with_(KB, _ABSORB, iterate(3)) + " SELECT node, label, round(score + 1e-11::DOUBLE, 8) AS score FROM y3")
 def absorbing_t3(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    return _scores(propagate(affine.absorbing_walk(t.edges, t.seeds, 1.0), t.seeds, max_iter=3).scores)
+    y = propagate(affine.absorbing_walk(t.edges, t.seeds, 1.0), t.seeds, max_iter=3).scores
+    return y.select("node", "label", F.round(F.col("score") + 1e-11, 8).alias("score"))
 
 
-@query(with_(KB, _ABSORB, sketched(3, SMALL)) + " SELECT node, cell, round(val, 6) AS val FROM s3")
+@query(with_(KB, _ABSORB, sketched(3, SMALL)) + " SELECT node, cell, round(val + 1e-11::DOUBLE, 8) AS val FROM s3")
 def absorbing_sketch_t3(spark, sf_dir):
     t = fx.parts_kb(spark, sf_dir)
-    return _cells(propagate(affine.absorbing_walk(t.edges, t.seeds, 1.0), t.seeds, store="sketch_cells", spec=SMALL, max_iter=3).sketch)
+    s = propagate(affine.absorbing_walk(t.edges, t.seeds, 1.0), t.seeds, store="sketch_cells", spec=SMALL, max_iter=3).sketch
+    return s.select("node", F.col("cell").cast("long").alias("cell"), F.round(F.col("val") + 1e-11, 8).alias("val"))
 
 
 @query(with_(KB, [SYM, _ROWS, "coef AS (SELECT src, dst, 0.85::DOUBLE * coef AS coef FROM pn)", "fixed AS (SELECT node, label, (1.0::DOUBLE - 0.85::DOUBLE) * score AS score FROM seeds)"], iterate(3)) + " SELECT node, label, round(score, 6) AS score FROM y3")

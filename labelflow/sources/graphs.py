@@ -169,8 +169,13 @@ def conversation_tokens(spark: SparkSession, sf_dir: str, min_df: int = 2, share
 def word_grams(text: Column, n: int) -> Column:
     """The distinct runs of n words (lower-cased, split at white space) as strings."""
     words = F.split(F.trim(F.regexp_replace(F.lower(text), r"[\x20\x09-\x0D]+", " ")), " ")
-    runs = F.transform(F.sequence(F.lit(1), F.size(words) - n + 1), lambda i: F.array_join(F.slice(words, i, n), " "))
-    return F.when(F.size(words) >= n, F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))
+
+    def runs(held: Column) -> Column:
+        each = F.transform(F.sequence(F.lit(1), F.size(held) - n + 1), lambda i: F.array_join(F.slice(held, i, n), " "))
+        return F.when(F.size(held) >= n, F.array_distinct(each)).otherwise(F.array().cast("array<string>"))
+
+    # a variable of an outer function holds the words, which would be split anew for each run else
+    return F.element_at(F.transform(F.array(words), runs), 1)
 
 
 def passage_pairs(spark: SparkSession, sf_dir: str, n: int = 8) -> DataFrame:
