@@ -59,3 +59,50 @@ def test_traces_and_measures_of_classes_count_all_members(spark, graph):
     gold = spark.range(2, 40).select(F.col("id").alias("node"), (F.col("id") % 4).alias("label"))
     scores = lambda df: df.withColumn("score", F.round("score", 10))
     assert ms.mrr(scores(run.scores), gold, "max", c.members).first() == ms.mrr(scores(whole.scores), gold, "max").first()
+
+
+def test_entries_are_counted_without_a_state(spark):
+    edges = spark.createDataFrame([(i, 100 + i % 3, 1.0) for i in range(20)] + [(i, 110 + i % 4, 1.0) for i in range(15)] + [(4, 120, 1.0)], "src long, dst long, w double")
+    seeds = spark.range(22).select(F.col("id").alias("node"), F.col("id").alias("label"), F.lit(1.0).alias("score"))
+    plan = modified_adsorption(edges, seeds, MU)
+    degree = plan.edges.groupBy("src").count()
+    for steps in (0, 1, 2):
+        y = seeds if not steps else propagate(plan, seeds, max_iter=steps).scores
+        want = ms.work_units(plan.edges, y, 1).first()["exact_ops"]
+        got = ms.injected_entries(edges, seeds, steps).agg(F.sum(F.expr("times * entries")).alias("n"), F.sum(F.expr("times * degree * entries")).alias("ops"), F.sum(F.expr("times * degree")).alias("edges")).first()
+        assert (got["n"], got["ops"], got["edges"]) == (y.count(), want, degree.agg(F.sum("count")).first()[0])
+    with pytest.raises(ValueError):
+        ms.injected_entries(edges, seeds.withColumn("label", F.lit(1)), 2)
+
+
+def test_nearest_vectors_with_copies_and_ties():
+    import numpy as np
+
+    from labelflow.sources.graphs import _in_order, _nearest
+
+    draw = np.random.default_rng(3)
+    v = draw.integers(-2, 3, (700, 8)).astype(np.float32)
+    v[100:160] = v[5]
+    v[300] = 0
+    ids = draw.permutation(5000)[:700].astype(np.int64)
+    src, dst, cos = _nearest(ids, v, ids, v, 5)
+    x = v.astype(np.float64)
+    norm = np.sqrt(_in_order(x, x))
+    with np.errstate(invalid="ignore"):
+        for i in (0, 5, 120, 300, 699):
+            c = _in_order(np.repeat(x[i : i + 1], 700, axis=0), x) / (norm[i] * norm)
+            order = [j for j in np.lexsort((ids, -np.where(np.isnan(c), np.inf, c))) if j != i][:5]
+            mine = src == ids[i]
+            assert list(dst[mine]) == list(ids[order]) and np.array_equal(cos[mine], c[order], equal_nan=True)
+
+
+def test_queries_of_seeds_read_the_parts_when_the_task_is_held(spark):
+    from conftest import SF
+    from labelflow.queries import fixtures as fx
+    from labelflow.queries import methods, relational
+
+    fx.parts_kb(spark, SF)
+    names = ("block_sketch_roundtrip", "distinct_labels_per_node", "seed_intersection", "seed_sample", "seed_sparsity", "seeds_per_node_list", "sizing_table")
+    for name in names:
+        df = (relational.Q | methods.Q)[name](spark, SF)
+        assert any(f.endswith("/part.parquet") for f in df.inputFiles()), name
