@@ -106,3 +106,12 @@ def test_queries_of_seeds_read_the_parts_when_the_task_is_held(spark):
     for name in names:
         df = (relational.Q | methods.Q)[name](spark, SF)
         assert any(f.endswith("/part.parquet") for f in df.inputFiles()), name
+
+
+def test_pairs_of_near_values_meet_once(spark, duck):
+    from conftest import SF
+    from labelflow.queries import relational
+
+    df = relational.Q["value_band_edges"](spark, SF)
+    assert "Aggregate" not in df._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, df.collect())) == sorted(duck.sql(relational.SQL["value_band_edges"]).fetchall())
