@@ -146,13 +146,13 @@ def volume_by_community(spark, sf_dir):
 
 @query(with_(KB) + " SELECT node, array_to_string(list_sort(list(label)), ',') AS labels, max(name) AS last_name FROM seeds JOIN dict USING (label) GROUP BY node")
 def seeds_per_node_list(spark, sf_dir):
-    t = fx.parts_kb(spark, sf_dir)
-    return t.seeds.join(t.labels, "label").groupBy("node").agg(F.array_join(F.sort_array(F.collect_list("label")), ",").alias("labels"), F.max("name").alias("last_name"))
+    drawn, labels = fx.part_seeds(spark, sf_dir)
+    return drawn.join(labels, "label").groupBy("node").agg(F.array_join(F.sort_array(F.collect_list("label")), ",").alias("labels"), F.max("name").alias("last_name"))
 
 
 @query(with_(KB) + " SELECT node, count(DISTINCT label) AS labels FROM seeds GROUP BY node")
 def distinct_labels_per_node(spark, sf_dir):
-    return fx.parts_kb(spark, sf_dir).seeds.groupBy("node").agg(F.countDistinct("label").alias("labels"))
+    return fx.part_seeds(spark, sf_dir)[0].groupBy("node").agg(F.countDistinct("label").alias("labels"))
 
 
 def _coverage(kind: str) -> str:
@@ -233,8 +233,8 @@ def nodes_union(spark, sf_dir):
 
 @query(with_(KB) + " SELECT s.node FROM seeds s JOIN dict USING (label) WHERE name LIKE 'bt|%' INTERSECT SELECT s.node FROM seeds s JOIN dict USING (label) WHERE name LIKE 'nm|%'")
 def seed_intersection(spark, sf_dir):
-    t = fx.parts_kb(spark, sf_dir)
-    named = t.seeds.join(t.labels, "label")
+    drawn, labels = fx.part_seeds(spark, sf_dir)
+    named = drawn.join(labels, "label")
     return named.filter(F.col("name").startswith("bt|")).select("node").intersect(named.filter(F.col("name").startswith("nm|")).select("node"))
 
 
@@ -282,8 +282,8 @@ S20 = fx.spec(20, 3)
 
 @query(with_(KB) + f" SELECT node, {cells_sql('label', S20)} AS cell, 1.0 AS val FROM seeds".replace("SELECT node, unnest", "SELECT node, cell, sum(val)::DOUBLE AS val FROM (SELECT node, unnest") + ") GROUP BY 1, 2")
 def block_sketch_roundtrip(spark, sf_dir):
-    t = fx.parts_kb(spark, sf_dir)
-    return cms.to_cells(cms.encode(t.seeds, "label", "score", ["node"], S20, "block"), ["node"]).withColumn("cell", F.col("cell").cast("long"))
+    drawn, _ = fx.part_seeds(spark, sf_dir)
+    return cms.to_cells(cms.encode(drawn, "label", "score", ["node"], S20, "block"), ["node"]).withColumn("cell", F.col("cell").cast("long"))
 
 
 @query(with_(KB) + " SELECT node, label, score AS score FROM seeds")
@@ -327,7 +327,7 @@ def score_matrix_pivot(spark, sf_dir):
 
 @query(with_(KB) + " SELECT node, label FROM seeds")
 def seed_sample(spark, sf_dir):
-    return fx.parts_kb(spark, sf_dir).seeds.select("node", "label")
+    return fx.part_seeds(spark, sf_dir)[0].select("node", "label")
 
 
 @query()
