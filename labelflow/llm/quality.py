@@ -118,37 +118,59 @@ class Classifier:
 
 
 def _fit_logistic(ends: np.ndarray, row: np.ndarray, n_features: int, target: np.ndarray, ridge: float = 0.5, rounds: int = 400, tolerance: float = 1e-4) -> tuple[np.ndarray, float]:
-    """Ridge logistic regression on binary features by accelerated gradient steps, until no weight moves more than
+    """Ridge logistic regression on binary features by limited-memory quasi-Newton steps, until no weight moves more than
     ``tolerance`` or ``rounds`` are done. ``row`` lists the features of each text, ``ends`` where each text's end."""
     n = len(target)
     rate = (target.sum() + 0.5) / (n + 1)
-    w, b = np.zeros(n_features), float(np.log(rate / (1 - rate)))
     size = np.diff(ends, prepend=0)
-    pace = max(1.0, np.percentile(size, 90) if n else 1)
-    scale = 2 / pace / (np.maximum(np.bincount(row, minlength=n_features), 1) + ridge)
-    vw, vb = w.copy(), b
     cuts, at = [], 0
     while at < n:
         to = max(at + 1, int(np.searchsorted(ends, (ends[at - 1] if at else 0) + _PAIRS, "right")))
         cuts.append((at, to, int(ends[at - 1]) if at else 0, int(ends[to - 1])))
         at = to
-    for t in range(rounds):
-        pull, total = ridge * vw, 0.0
+
+    def loss(x: np.ndarray) -> tuple[float, np.ndarray]:
+        w, b = x[:-1], x[-1]
+        value, slope = ridge / 2 * float(w @ w), np.append(ridge * w, 0.0)
         for a, z, first, last in cuts:
             found = row[first:last]
-            sums = np.append(0.0, np.cumsum(vw[found]))
-            score = vb + sums[ends[a:z] - first] - sums[ends[a:z] - size[a:z] - first]
+            sums = np.append(0.0, np.cumsum(w[found]))
+            score = b + sums[ends[a:z] - first] - sums[ends[a:z] - size[a:z] - first]
+            value += float((np.logaddexp(0, score) - target[a:z] * score).sum())
             gap = 1 / (1 + np.exp(-np.clip(score, -30, 30))) - target[a:z]
-            pull += np.bincount(found, np.repeat(gap, size[a:z]), n_features)
-            total += gap.sum()
-        new_w, new_b = vw - scale * pull, vb - 4 / (n * pace) * total
-        moved = max(float(np.abs(new_w - w).max(initial=0)), abs(new_b - b))
-        speed = t / (t + 3)
-        vw, vb = new_w + speed * (new_w - w), new_b + speed * (new_b - b)
-        w, b = new_w, new_b
-        if moved < tolerance:
+            slope[:-1] += np.bincount(found, np.repeat(gap, size[a:z]), n_features)
+            slope[-1] += gap.sum()
+        return value, slope
+
+    pace = max(1.0, np.percentile(size, 90) if n else 1)
+    scale = 2 / pace / np.append(np.maximum(np.bincount(row, minlength=n_features), 1) + ridge, max(n, 1) / 2)
+    x = np.append(np.zeros(n_features), np.log(rate / (1 - rate)))
+    value, slope = loss(x)
+    past: list[tuple[np.ndarray, np.ndarray, float]] = []
+    for _ in range(rounds):
+        q, shares = slope.copy(), []
+        for s, y, r in reversed(past):
+            shares.append(r * float(s @ q))
+            q -= shares[-1] * y
+        q *= scale * (float(past[-1][0] @ past[-1][1]) / float(past[-1][1] @ (scale * past[-1][1])) if past else 1.0)
+        for (s, y, r), share in zip(past, reversed(shares)):
+            q += (share - r * float(y @ q)) * s
+        fall, length = float(slope @ q), 1.0
+        while True:
+            step = -length * q
+            after, new = loss(x + step)
+            if after <= value - 1e-4 * length * fall or length < 1e-6:
+                break
+            length /= 2
+        if after > value:  # as low as rounding lets it be
+            break
+        bend = float(step @ (new - slope))
+        if bend > 0:
+            past = [*past[-9:], (step, new - slope, 1 / bend)]
+        x, value, slope = x + step, after, new
+        if np.abs(step).max(initial=0) < tolerance:
             break
-    return w, b
+    return x[:-1], float(x[-1])
 
 
 def fit(docs: DataFrame, labels: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", sample_rows: int = 20_000, max_features: int = 20_000, least_rows: int = 4, least_z: float = 5.0) -> Classifier:
